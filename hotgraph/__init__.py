@@ -1,0 +1 @@
+"""Ranking over evolving graphs on Spark: exact, reused or approximate answers over a stream of edge changes."""
