@@ -2,16 +2,20 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
 from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-_ROOT = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
-_scratch: list[str] = []
+from hotgraph import storage
+from hotgraph.storage import release as release_scratch
+from hotgraph.storage import settle
+
+__all__ = ["WORD_TABLE", "emit", "fresh", "prepare", "read", "release_scratch", "rows", "settle"]
+
+#: Rows and bytes of a batch that goes to a Python worker, in place of Spark's defaults: documents are long, and both
+#: the JVM's buffers and the worker hold whole batches.
+ARROW = {"spark.sql.execution.arrow.maxRecordsPerBatch": ("10000", "4000"), "spark.sql.execution.arrow.maxBytesPerBatch": ("67108864b", "8388608b")}
 
 #: bytes.translate table: A-Z to a-z, every other ASCII character that is not a letter or digit to a space.
 WORD_TABLE = bytes(
@@ -21,39 +25,22 @@ WORD_TABLE = bytes(
 
 
 def prepare(spark: SparkSession) -> None:
-    """Let Python workers import this package when it is not installed on them but shares the path."""
-    env = spark.sparkContext.environment
-    paths = [p for p in env.get("PYTHONPATH", "").split(os.pathsep) if p]
-    if _ROOT not in paths:
-        env["PYTHONPATH"] = os.pathsep.join([*paths, _ROOT])
-
-
-def scratch_root(spark: SparkSession) -> str:
-    """Folder that driver and executors share; a temporary one only where the session names none (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not root:
-        root = tempfile.mkdtemp(prefix="hotgraph-")
-        spark.conf.set("spark.checkpoint.dir", root)
-    return root.rstrip("/")
-
-
-def settle(df: DataFrame, name: str) -> DataFrame:
-    """Write df to the shared folder and read it again: cuts the lineage and survives lost executors."""
-    spark = df.sparkSession
-    path = f"{scratch_root(spark)}/hotgraph/{uuid.uuid4().hex}-{name}"
-    df.write.parquet(path)
-    _scratch.append(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def release_scratch(spark: SparkSession) -> int:
-    """Delete the tables that settle() wrote in this process; call it when their results have been written."""
-    jvm, done = spark.sparkContext._jvm, 0
-    conf = spark.sparkContext._jsc.hadoopConfiguration()
-    while _scratch:
-        path = jvm.org.apache.hadoop.fs.Path(_scratch.pop())
-        done += bool(path.getFileSystem(conf).delete(path, True))
-    return done
+    """Make the package importable for workers, and batches small unless the session has sizes of its own."""
+    storage.prepare(spark)
+    for name, (usual, small) in ARROW.items():
+        if spark.conf.get(name, usual) == usual:
+            spark.conf.set(name, small)
+
+
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """The names, each with underscores added until no column of df has it in any case."""
+    held, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in held:
+            name += "_"
+        held.add(name.lower())
+        out.append(name)
+    return out
 
 
 def rows(batches: Iterable[pa.RecordBatch], step: int = 256) -> Iterator[tuple]:

@@ -131,7 +131,7 @@ def train(docs: DataFrame, labels: DataFrame, rating: str = "quality", p: Ordina
 
     def learn(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         examples = [
-            (np.frombuffer(at, "<i4").astype(np.int64), np.frombuffer(v, "<f4").astype(float), y) for *_, y, at, v in rows(batches)
+            (np.frombuffer(at, "<i4"), np.frombuffer(v, "<f4"), y) for *_, y, at, v in rows(batches)
         ]
         theta, w = fit(examples, p)
         yield from emit([*((-1 - k, x) for k, x in enumerate(theta)), *w.items()], out)

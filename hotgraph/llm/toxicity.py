@@ -112,7 +112,7 @@ def train(docs: DataFrame, labels: DataFrame, p: Ftrl = Ftrl()) -> tuple[float,
         yield from emit(each, seen, 512)
 
     def learn(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        examples = [(np.frombuffer(at, "<i4").astype(np.int64), y) for _, _, y, at in rows(batches)]
+        examples = [(np.frombuffer(at, "<i4"), y) for _, _, y, at in rows(batches)]
         bias, w = fit(examples, p)
         yield from emit([(-1, bias), *w.items()], out)
 
