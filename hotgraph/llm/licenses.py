@@ -79,15 +79,15 @@ class Templates:
             for g in b:
                 self.by[g].append(k)
         sizes = [b.total() for _, b in self.all]
-        self.least = min(sizes) * threshold / (2 - threshold)
-        self.most = max(sizes) * (2 - threshold) / threshold
+        self.least = min(sizes) * threshold / (2 - threshold) - 1e-9
+        self.most = max(sizes) * (2 - threshold) / threshold + 1e-9
 
     def best(self, unit: Counter) -> tuple[float, str] | None:
         """The closest template at or above the threshold; of equals the first by name."""
         n = unit.total()
         if not self.least <= n <= self.most:
             return None
-        low, high = n * self.threshold / (2 - self.threshold), n * (2 - self.threshold) / self.threshold
+        low, high = n * self.threshold / (2 - self.threshold) - 1e-9, n * (2 - self.threshold) / self.threshold + 1e-9
         near = {k for g in unit for k in self.by.get(g, ()) if low <= self.all[k][1].total() <= high}
         found = [(-d, self.all[k][0]) for k in near if (d := dice(unit, self.all[k][1])) >= self.threshold]
         return (-min(found)[0], min(found)[1]) if found else None

@@ -26,7 +26,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hotgraph.llm.common import emit, prepare, rows, settle
+from hotgraph.llm.common import emit, fresh, prepare, rows, settle
 
 #: The white space that is stripped, and the least length of a key in code points.
 SPACE = " \t\n\x0b\x0c\r"
@@ -137,15 +137,18 @@ def _kept(text: str | None, keep: bytes | None) -> tuple[int, int, str]:
     return len(lines), int((~bits).sum()), "\n".join(x for x, b in zip(lines, bits, strict=True) if b)
 
 
-def _joined(docs: DataFrame, bitmaps: DataFrame, extra: list[str]) -> DataFrame:
-    """docs with each row's bitmap; texts are never sorted, and bitmaps only broadcast when their files are small."""
+def _joined(docs: DataFrame, bitmaps: DataFrame) -> tuple[DataFrame, str]:
+    """docs with each row's bitmap in a new column, whose name comes too. Texts are never sorted, and bitmaps only
+    broadcast when their files are small.
+    """
     spark = docs.sparkSession
     limit = spark._jsparkSession.sessionState().conf().autoBroadcastJoinThreshold()
-    bitmaps = bitmaps.select(F.col("doc").alias("_d"), F.col("tag").alias("_t"), F.col("keep").alias("_keep"))
+    d, t, k = fresh(docs, "_doc", "_tag", "_keep")
+    bitmaps = bitmaps.select(F.col("doc").alias(d), F.col("tag").alias(t), F.col("keep").alias(k))
     known = int(str(bitmaps._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     side = bitmaps if known <= limit else bitmaps.hint("shuffle_hash")
-    on = (F.col("doc_id").cast("bigint") == F.col("_d")) & (F.xxhash64("text") == F.col("_t"))
-    return docs.select(*extra).join(side, on, "left").select(*extra, "_keep")
+    on = (F.col("doc_id").cast("bigint") == F.col(d)) & (F.xxhash64("text") == F.col(t))
+    return docs.join(side, on, "left").select(*docs.columns, k), k
 
 
 def keep_report(docs: DataFrame, least: int = LEAST) -> DataFrame:
@@ -161,15 +164,15 @@ def keep_report(docs: DataFrame, least: int = LEAST) -> DataFrame:
 
         yield from emit(each(), schema)
 
-    joined = _joined(docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text"), bitmaps, ["doc_id", "text"])
+    joined, _ = _joined(docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text"), bitmaps)
     return joined.mapInArrow(run, "doc_id bigint, n_lines bigint, n_dropped bigint, kept_sha256 string")
 
 
 def apply_bitmaps(docs: DataFrame, bitmaps: DataFrame) -> DataFrame:
     """docs with text cut down to its kept lines; all other columns as they were. A null text stays null."""
     cut = F.pandas_udf(_cut, "string")
-    joined = _joined(docs, bitmaps, docs.columns)
-    text = F.when(F.col("_keep").isNull(), F.col("text")).otherwise(cut("text", "_keep"))
+    joined, k = _joined(docs, bitmaps)
+    text = F.when(F.col(k).isNull(), F.col("text")).otherwise(cut("text", k))
     return joined.withColumn("text", text).select(*docs.columns)
 
 

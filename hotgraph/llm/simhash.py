@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hotgraph.llm.common import emit, prepare, rows, settle
+from hotgraph.llm.common import emit, fresh, prepare, rows, settle
 from hotgraph.llm.components import components
 
 SEED = 42  # fixed value
@@ -199,20 +199,22 @@ def keep_first(docs: DataFrame, found: DataFrame) -> DataFrame:
     left = _without(docs, gone)
     if again.isEmpty():
         return left
-    keyed = left.withColumn("_tag", F.xxhash64("text")).join(
-        again.select(F.col("doc_id").alias("_d"), F.col("tag").alias("_t")),
-        F.col("doc_id").cast("bigint").eqNullSafe(F.col("_d")) & (F.col("_tag") == F.col("_t")), "left_semi",
+    d, t, own = fresh(docs, "_doc", "_tag", "_own")
+    keyed = left.withColumn(own, F.xxhash64("text")).join(
+        again.select(F.col("doc_id").alias(d), F.col("tag").alias(t)),
+        F.col("doc_id").cast("bigint").eqNullSafe(F.col(d)) & (F.col(own) == F.col(t)), "left_semi",
     )
-    return _without(left, again).unionByName(keyed.dropDuplicates(["doc_id", "_tag"]).select(*docs.columns))
+    return _without(left, again).unionByName(keyed.dropDuplicates(["doc_id", own]).select(*docs.columns))
 
 
 def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
     """docs without the rows named by ids(doc_id, tag); the ids are the hashed side, so that texts are never sorted."""
-    ids = ids.select(F.col("doc_id").alias("_d"), F.col("tag").alias("_t"))
+    d, t = fresh(docs, "_doc", "_tag")
+    ids = ids.select(F.col("doc_id").alias(d), F.col("tag").alias(t))
     limit = docs.sparkSession._jsparkSession.sessionState().conf().autoBroadcastJoinThreshold()
     known = int(str(ids._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     side = ids if known <= limit else ids.hint("shuffle_hash")
-    on = F.col("doc_id").cast("bigint").eqNullSafe(F.col("_d")) & (F.xxhash64("text") == F.col("_t"))
+    on = F.col("doc_id").cast("bigint").eqNullSafe(F.col(d)) & (F.xxhash64("text") == F.col(t))
     return docs.join(side, on, "left_anti")
 
 
