@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -72,8 +74,9 @@ def sink_parquet_partitioned(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @key("sink_bucketed_edges", ctes(("e", _C)) + " select a.src, count(*)::bigint as n from e a join e b on a.src = b.src group by a.src")
 def sink_bucketed_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
-    b = tables.bucketed(graph(spark, sf_dir, "copurchase"), "hot_edges_by_src")
-    other = tables.bucketed(graph(spark, sf_dir, "copurchase"), "hot_edges_by_src_too").select("src")
+    name = f"hot_edges_{uuid.uuid4().hex}"
+    b = tables.bucketed(graph(spark, sf_dir, "copurchase"), name)
+    other = tables.bucketed(graph(spark, sf_dir, "copurchase"), f"{name}_too").select("src")
     return b.select("src").hint("merge").join(other, "src").groupBy("src").agg(F.count("*").alias("n"))
 
 
@@ -91,9 +94,13 @@ def filter_in_like(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _T(spark, sf_dir, "part").where(F.col("p_type").isin("ECONOMY", "STANDARD") & F.col("p_name").like("%ring")).select("p_partkey", "p_name", "p_type")
 
 
-@key("project_exprs", "select l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 4) as revenue, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 4) as charge from lineitem")
+@key("project_exprs", "select l_orderkey, l_linenumber, (l_extendedprice::decimal(12,2) * (1 - l_discount::decimal(4,2)))::double as revenue, (l_extendedprice::decimal(12,2) * (1 - l_discount::decimal(4,2)) * (1 + l_tax::decimal(4,2)))::double as charge from lineitem")
 def project_exprs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _T(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", F.round(_rev, 4).alias("revenue"), F.round(_rev * (1 + F.col("l_tax")), 4).alias("charge"))
+    d = lambda c, p: F.col(c).cast(f"decimal({p},2)")
+    revenue = d("l_extendedprice", 12) * (1 - d("l_discount", 4))
+    return _T(spark, sf_dir, "lineitem").select(
+        "l_orderkey", "l_linenumber", revenue.cast("double").alias("revenue"), (revenue * (1 + d("l_tax", 4))).cast("double").alias("charge")
+    )
 
 
 @key("case_when", "select case when l_quantity < 10 then 'small' when l_quantity < 30 then 'medium' else 'large' end as band, count(*)::bigint as n from lineitem group by 1")
@@ -292,7 +299,7 @@ _KINDS = ("click", "error", "purchase", "signup", "view")
 
 @key("agg_pivot", "select (user_id % 10)::bigint as decile, " + ", ".join(f"count(*) filter (where event_type = '{k}')::bigint as \"{k}\"" for k in _KINDS) + " from events group by 1")
 def agg_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
-    p = _T(spark, sf_dir, "events").groupBy((F.col("user_id") % 10).alias("decile")).pivot("event_type", list(_KINDS)).agg(F.count("*"))
+    p = _T(spark, sf_dir, "events").groupBy((F.col("user_id") % 10).alias("decile")).pivot("event_type", list(_KINDS)).agg(F.count(F.lit(1)))
     return p.na.fill(0, list(_KINDS))
 
 

@@ -17,7 +17,7 @@ _TOTAL = "round(sum(value::decimal(18,6)), 4)::double"
 
 
 def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return windows.read_events(spark, f"{sf_dir}/events.parquet")
+    return windows.read_events(spark, f"{sf_dir}/events.parque[t]")  # a pattern, as a single file is no source folder
 
 
 def _split(spark: SparkSession, sf_dir: str, days: int, extra: DataFrame | None = None) -> str:

@@ -18,19 +18,30 @@ def budget(score: float, degree: int, mean: float, delta: float) -> float | None
     return math.log(mean * score / (delta * degree)) / math.log(mean)
 
 
-budget_udf = F.udf(budget, "double")
+def weight(degree: pd.Series) -> pd.Series:
+    return (1.0 / degree.where(degree > 0)).astype(float)
 
 
-@F.pandas_udf("double")
-def weight_udf(degree: pd.Series) -> pd.Series:
-    """Reciprocal of the out-degree; null where there is none."""
-    return (1.0 / degree.where(degree > 0)).astype(float)
+def mass(value: pd.Series) -> float:
+    return float(value.sum())
+
+
+# The functions are made where they are used: workers import this module and have no session.
 
 
-@F.pandas_udf("double")
-def mass_udaf(value: pd.Series) -> float:
+def budget_udf(*columns):  # noqa: ANN002, ANN201
+    """influence_budget, row by row."""
+    return F.udf(budget, "double")(*columns)
+
+
+def weight_udf(column):  # noqa: ANN001, ANN201
+    """Reciprocal of the out-degree, by batches; null where there is none."""
+    return F.pandas_udf(weight, "double")(column)
+
+
+def mass_udaf(column):  # noqa: ANN001, ANN201
     """Sum of the values of a group."""
-    return float(value.sum())
+    return F.pandas_udf(mass, "double")(column)
 
 
 class Walk:
@@ -43,8 +54,8 @@ class Walk:
 
 def register(spark: SparkSession) -> None:
     """Names for SQL: hot_budget, hot_weight, hot_walk."""
-    spark.udf.register("hot_budget", budget_udf)
-    spark.udf.register("hot_weight", weight_udf)
+    spark.udf.register("hot_budget", F.udf(budget, "double"))
+    spark.udf.register("hot_weight", F.pandas_udf(weight, "double"))
     spark.udtf.register("hot_walk", F.udtf(Walk, returnType="id bigint, hop int"))
 
 
