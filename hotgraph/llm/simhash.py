@@ -179,7 +179,8 @@ def classes(prints: DataFrame, radius: int = 2) -> DataFrame:
     each = distinct.join(of, "fp", "left").select(
         "fp", F.coalesce("root", "fp").alias("group"), F.coalesce("component_id", "least").alias("component_id")
     )
-    return prints.join(each, "fp", "left").select("doc_id", "tag", "fp", "group", "component_id")
+    # Written, so that the join's sides are plain shuffles and a common fingerprint can be split.
+    return prints.join(settle(each, "classes"), "fp", "left").select("doc_id", "tag", "fp", "group", "component_id")
 
 
 def near_duplicates(docs: DataFrame, words: int = 3, radius: int = 2) -> DataFrame:
@@ -191,7 +192,8 @@ def keep_first(docs: DataFrame, found: DataFrame) -> DataFrame:
     """docs with one row of each group of found(doc_id, tag, group): the smallest doc_id (null ids last), then tag."""
     found = settle(found.select("doc_id", "tag", "group"), "groups")
     rank = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "tag")
-    first = found.groupBy(F.col("group").alias("g")).agg(F.min(rank).alias("first"))
+    # Written, so that the join's sides are plain shuffles and a large group can be split.
+    first = settle(found.groupBy(F.col("group").alias("g")).agg(F.min(rank).alias("first")), "first")
     stays = F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("tag") == F.col("first.tag"))
     met = found.join(first, F.col("group") == F.col("g"))
     gone = settle(met.where(~stays).select("doc_id", "tag").distinct(), "gone")
