@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hotgraph.llm import decontaminate, linededup, packing, simhash, toxicity
+from hotgraph.llm import decontaminate, linededup, packing, simhash, toxicity, widesimhash
 from hotgraph.llm.common import read, settle
 from hotgraph.llm.queries import tokenizer_path
 
@@ -25,8 +25,8 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def dedup_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document with the smallest id."""
-    return simhash.keep_first(docs, simhash.near_duplicates(docs))
+    """Of each group of near copies (five-word shingles, similarity 0.8 or more) the document with the smallest id."""
+    return simhash.keep_first(docs, widesimhash.similar(docs, words=5, similarity=0.8))
 
 
 def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
