@@ -17,7 +17,13 @@ from hotgraph.sources.tables import table
 
 _C = GRAPH_SQL["copurchase"]
 _T = table
-_rev = F.col("l_extendedprice") * (1 - F.col("l_discount"))
+
+
+# Columns and windows are made where they are used: without a session there are none.
+
+
+def _rev():  # noqa: ANN202
+    return F.col("l_extendedprice") * (1 - F.col("l_discount"))
 
 
 def _money(c):  # noqa: ANN001, ANN202
@@ -136,7 +142,7 @@ def _hint_key(name: str, hint: str) -> None:
     @key(name, _PRIORITY)
     def _(spark: SparkSession, sf_dir: str) -> DataFrame:
         met = _T(spark, sf_dir, "lineitem").join(_T(spark, sf_dir, "orders").hint(hint), F.col("o_orderkey") == F.col("l_orderkey"))
-        return met.groupBy("o_orderpriority").agg(_money(_rev).alias("revenue"), F.count("*").alias("n"))
+        return met.groupBy("o_orderpriority").agg(_money(_rev()).alias("revenue"), F.count("*").alias("n"))
 
 
 _hint_key("join_sort_merge", "merge")
@@ -235,7 +241,7 @@ def join_star_5way(spark: SparkSession, sf_dir: str) -> DataFrame:
     met = _T(spark, sf_dir, "lineitem").join(_T(spark, sf_dir, "orders"), F.col("l_orderkey") == F.col("o_orderkey"))
     met = met.join(_T(spark, sf_dir, "customer"), F.col("o_custkey") == F.col("c_custkey")).join(_T(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
     met = met.join(_T(spark, sf_dir, "region"), F.col("n_regionkey") == F.col("r_regionkey"))
-    return met.groupBy("r_name", F.year("o_orderdate").alias("y")).agg(_money(_rev).alias("revenue"))
+    return met.groupBy("r_name", F.year("o_orderdate").alias("y")).agg(_money(_rev()).alias("revenue"))
 
 
 # Aggregation ----------------------------------------------------------------------------------------------------------
@@ -354,15 +360,21 @@ def agg_count_min(spark: SparkSession, sf_dir: str) -> DataFrame:
 # Windows --------------------------------------------------------------------------------------------------------------
 
 
-_by = Window.partitionBy("o_custkey").orderBy(F.col("o_totalprice").desc(), "o_orderkey")
+def _by():  # noqa: ANN202
+    return Window.partitionBy("o_custkey").orderBy(F.col("o_totalprice").desc(), "o_orderkey")
+
+
+def _ev():  # noqa: ANN202
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
 _over = "over (partition by o_custkey order by o_totalprice desc, o_orderkey)"
-_ev = Window.partitionBy("user_id").orderBy("ts", "event_id")
 _evs = "over (partition by user_id order by ts, event_id)"
 
 
 @key("win_row_number", f"select o_orderkey, row_number() {_over}::int as rn from orders")
 def win_row_number(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _T(spark, sf_dir, "orders").select("o_orderkey", F.row_number().over(_by).alias("rn"))
+    return _T(spark, sf_dir, "orders").select("o_orderkey", F.row_number().over(_by()).alias("rn"))
 
 
 @key("win_rank_dense", "select p_partkey, (rank() over (partition by p_brand order by p_size))::int as r, (dense_rank() over (partition by p_brand order by p_size))::int as d from part")
@@ -373,28 +385,28 @@ def win_rank_dense(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @key("win_percent_rank", f"select o_orderkey, round(percent_rank() {_over}, 6) as pr, round(cume_dist() {_over}, 6) as cd from orders")
 def win_percent_rank(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _T(spark, sf_dir, "orders").select("o_orderkey", F.round(F.percent_rank().over(_by), 6).alias("pr"), F.round(F.cume_dist().over(_by), 6).alias("cd"))
+    return _T(spark, sf_dir, "orders").select("o_orderkey", F.round(F.percent_rank().over(_by()), 6).alias("pr"), F.round(F.cume_dist().over(_by()), 6).alias("cd"))
 
 
 @key("win_ntile", f"select o_orderkey, (ntile(4) {_over})::int as q from orders")
 def win_ntile(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _T(spark, sf_dir, "orders").select("o_orderkey", F.ntile(4).over(_by).alias("q"))
+    return _T(spark, sf_dir, "orders").select("o_orderkey", F.ntile(4).over(_by()).alias("q"))
 
 
 @key("win_lag_lead", f"select event_id, lag(event_type) {_evs} as before, lead(event_id) {_evs} as next from events")
 def win_lag_lead(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _T(spark, sf_dir, "events").select("event_id", F.lag("event_type").over(_ev).alias("before"), F.lead("event_id").over(_ev).alias("next"))
+    return _T(spark, sf_dir, "events").select("event_id", F.lag("event_type").over(_ev()).alias("before"), F.lead("event_id").over(_ev()).alias("next"))
 
 
 @key("win_first_last", "select event_id, first_value(value) over w as first, last_value(value) over w as last from events window w as (partition by user_id order by ts, event_id rows between unbounded preceding and unbounded following)")
 def win_first_last(spark: SparkSession, sf_dir: str) -> DataFrame:
-    w = _ev.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    w = _ev().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     return _T(spark, sf_dir, "events").select("event_id", F.first("value").over(w).alias("first"), F.last("value").over(w).alias("last"))
 
 
 @key("win_rows_frame", "select event_id, round(avg(value) over (partition by user_id order by ts, event_id rows between 3 preceding and 3 following), 6) as mean7 from events")
 def win_rows_frame(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _T(spark, sf_dir, "events").select("event_id", F.round(F.avg("value").over(_ev.rowsBetween(-3, 3)), 6).alias("mean7"))
+    return _T(spark, sf_dir, "events").select("event_id", F.round(F.avg("value").over(_ev().rowsBetween(-3, 3)), 6).alias("mean7"))
 
 
 @key("win_range_frame", "select event_id, round(sum(value) over (partition by user_id order by epoch_us(ts) range between 86400000000 preceding and current row), 4) as day_sum from events")
@@ -406,7 +418,7 @@ def win_range_frame(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @key("win_running_sum", f"select event_id, round(sum(value::decimal(18,6)) {_evs}, 4)::double as running from events")
 def win_running_sum(spark: SparkSession, sf_dir: str) -> DataFrame:
-    w = _ev.rowsBetween(Window.unboundedPreceding, 0)
+    w = _ev().rowsBetween(Window.unboundedPreceding, 0)
     return _T(spark, sf_dir, "events").select("event_id", F.round(F.sum(F.col("value").cast("decimal(18,6)")).over(w), 4).cast("double").alias("running"))
 
 
@@ -425,8 +437,8 @@ s as (select user_id, ts, sum(new) over (partition by user_id order by ts rows u
 @key("win_sessionize", _SESSIONS + " select user_id, n::bigint as session, min(ts) as start, count(*)::bigint as events from s group by 1, 2")
 def win_sessionize(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = _T(spark, sf_dir, "events").select("user_id", "ts", "event_id")
-    gap = F.col("ts") - F.lag("ts").over(_ev) <= F.expr("interval 30 minutes")
-    s = e.withColumn("new", F.when(gap, 0).otherwise(1)).withColumn("session", F.sum("new").over(_ev.rowsBetween(Window.unboundedPreceding, 0)))
+    gap = F.col("ts") - F.lag("ts").over(_ev()) <= F.expr("interval 30 minutes")
+    s = e.withColumn("new", F.when(gap, 0).otherwise(1)).withColumn("session", F.sum("new").over(_ev().rowsBetween(Window.unboundedPreceding, 0)))
     return s.groupBy("user_id", "session").agg(F.min("ts").alias("start"), F.count("*").alias("events"))
 
 
