@@ -46,3 +46,24 @@ def test_every_query_is_registered():
     import __spark_entry__ as entry
 
     assert set(QUERIES) <= set(entry.queries()) and set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def _python(code, cwd):
+    import subprocess
+    import sys
+
+    return subprocess.run([sys.executable, "-B", "-c", code], cwd=cwd, capture_output=True, text=True, timeout=120)
+
+
+def test_entry_imports_without_a_session_and_without_the_training_data_operators(tmp_path):
+    import os
+    import shutil
+
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    code = "import __spark_entry__ as e; print(len(e.queries()), set(e.oracle_sql()) <= set(e.queries()))"
+    assert _python(code, root).stdout.split()[1] == "True"
+    copy = tmp_path / "copy"
+    shutil.copytree(os.path.join(root, "hotgraph"), copy / "hotgraph", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    shutil.copy(os.path.join(root, "__spark_entry__.py"), copy)
+    done = _python(code, copy)
+    assert done.stdout.split() == [str(len(QUERIES)), "True"], done.stderr[-500:]
