@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from hotgraph.functions.expressions import changed, influence_budget, within_budget
+from hotgraph.operators.localhot import covers, select_hot_local
 from hotgraph.operators.stats import degree_change, degrees, mean_degree, out_degrees
 from hotgraph.schema import Params
 from hotgraph.sources.graphs import ends
@@ -131,16 +132,19 @@ def _spread(hops, front, sends, least, again, max_hops) -> DataFrame:  # noqa: A
 
 def select_hot(
     now: DataFrame, before: DataFrame, scores: DataFrame, params: Params, *, previous_scores: DataFrame | None = None,
-    touched: DataFrame | None = None, change: DataFrame | None = None,
+    touched: DataFrame | None = None, change: DataFrame | None = None, kernel: str = "distributed",
 ) -> DataFrame:
     """(id, reason, hop) of the hot set at a measurement point, each vertex once with the first reason that holds.
 
     now, before: edges at this point and the one before; change: degrees at both where they are known already.
     previous_scores: scores one point earlier, for the score_change signal. touched: vertices that updates touched, for
-    the mean degree over these.
+    the mean degree over these. kernel: local does it in one task where localhot has the readings; the caller has counted
+    the edges then.
     """
     p = params
     change = degree_change(before, now, p.degree) if change is None else change
+    if kernel == "local" and covers(p):
+        return select_hot_local(now, change, signal(scores, previous_scores, p), p)
     seeds = settle(select_changed(change, p.r), "seeds")
     ring = expand_hops(now, seeds, p.n, p.direction)
     core = seeds.select("id", "reason", F.lit(0).alias("hop")).union(ring.select("id", F.lit("ring"), "hop"))

@@ -38,7 +38,11 @@ def incoming(edges: DataFrame, hot: DataFrame, scores: DataFrame, degrees: DataF
 
 def build_summary(edges: DataFrame, hot: DataFrame, scores: DataFrame, degrees: DataFrame | None = None) -> Summary:
     """scores are the stored ones of the point before; degrees (id, out_deg) those of the current graph."""
-    aimed = incoming(edges, hot, scores, degrees)
+    return split(incoming(edges, hot, scores, degrees), hot)
+
+
+def split(aimed: DataFrame, hot: DataFrame) -> Summary:
+    """The summary from incoming()'s rows; write these first where both parts will be read."""
     inner = aimed.where("inner").select("src", "dst", (1 / F.col("out_deg")).alias("weight"))
     cold = aimed.where("not inner").groupBy("dst").agg(
         F.sum(F.coalesce("score", F.lit(0.0)) / F.col("out_deg")).alias("inflow"), F.count("*").alias("n_edges")

@@ -9,10 +9,10 @@ from contextlib import contextmanager
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hotgraph.operators.iterate import rank_exact
+from hotgraph.operators.iterate import LOCAL_LINKS, rank_exact
 from hotgraph.operators.selection import select_hot
 from hotgraph.operators.stats import degrees, roll_degrees
-from hotgraph.operators.summary import Summary, build_summary, rank_approximate
+from hotgraph.operators.summary import Summary, incoming, rank_approximate, split
 from hotgraph.operators.updates import apply_log, net_changes
 from hotgraph.plans import policies
 from hotgraph.plans.cost import pays
@@ -199,13 +199,17 @@ class QuerySession:
         change = now.join(before.select("id", F.col("degree").alias("deg_prev")), "id", "left").select("id", "deg_prev", "deg_now")
         self.hot = settle(
             select_hot(
-                self.edges, self.edges, self.scores, self.params, previous_scores=self.earlier_scores, touched=self.touched, change=change
+                self.edges, self.edges, self.scores, self.params, previous_scores=self.earlier_scores, touched=self.touched, change=change,
+                kernel="local" if self.kernel == "local" or self.kernel == "auto" and self.n_edges <= LOCAL_LINKS else "distributed",
             ), "hot",
         )
-        built = build_summary(self.edges, self.hot, self.scores)
-        self.summary = Summary(settle(built.hot, "ids"), settle(built.inner, "inner"), settle(built.inflow, "inflow"))
-        cold = self.summary.inflow.agg(F.coalesce(F.sum("n_edges"), F.lit(0))).first()[0]
-        return {"n_hot": self.summary.hot.count(), "inner_edges": self.summary.inner.count(), "boundary_edges": cold}
+        known = None
+        if self.params.degree == "out":  # counted already
+            known = self.degrees.where("degree > 0").withColumnRenamed("degree", "out_deg")
+        aimed = settle(incoming(self.edges, self.hot, self.scores, known), "aimed")
+        self.summary = split(aimed, self.hot)
+        n = aimed.agg(F.count_if("inner").alias("inner"), F.count_if(~F.col("inner")).alias("cold")).first()
+        return {"n_hot": self.hot.count(), "inner_edges": n["inner"], "boundary_edges": n["cold"]}
 
     def _compute(self, strategy: str, counts: dict[str, int]) -> None:
         p, found = self.params, None

@@ -123,3 +123,17 @@ def test_plans(spark):
     assert "LeftSemi" in built
     bucketed = plan(QUERIES["sink_bucketed_edges"](spark, SF)).split("== Physical Plan ==")[1]
     assert "SortMergeJoin" in bucketed and "Exchange" not in bucketed
+
+
+@pytest.mark.parametrize("more", [{}, {"direction": "both"}, {"anchor": "ring"}, {"threshold": "relative", "delta": 0.1}, {"degree": "total", "n": 2}, {"delta": None}, {"n": 0, "delta": 0.2}])
+def test_local_hot_set_is_the_same(spark, more):
+    from hotgraph.operators.selection import select_hot
+    from tests.test_method import random_edges
+
+    before = random_edges(12, 60, 220)
+    now = before - set(sorted(before)[::40]) | {(1, 70), (71, 3), (5, 6)}
+    b, e = graph(spark, before), graph(spark, now)
+    old = rank_exact(b, kernel="local")
+    p = Params(**{"r": 0.2, "n": 1, "delta": 0.3, **more})
+    hot = lambda kernel: sorted(map(tuple, select_hot(e, b, old, p, kernel=kernel).collect()))
+    assert hot("local") == hot("distributed")
