@@ -1,7 +1,8 @@
-"""SimHash for a stated similarity: 256-bit fingerprints over word shingles, BK-trees in cells named by shared shingles.
+"""SimHash for a stated similarity: 1,024-bit fingerprints over word shingles, BK-trees in cells named by shared shingles.
 
 For sets of equal size the cosine is 2 J / (1 + J) for Jaccard similarity J, and each fingerprint bit differs with
-probability angle / pi. The radius follows from that probability at the wanted similarity. So wide a radius rules out
+probability angle / pi. The radius follows from that probability at the wanted similarity; its error falls with the
+root of the number of bits, which is why there are so many. So wide a radius rules out
 cells of equal bits, as the short fingerprints use. Cells are named by content instead: each document goes to the cells
 of its `KEYS` smallest shingle hashes, of which two documents at 0.8 share at least one but for a chance of about
 0.2 ** 8. A cell of over `cap` fingerprints (a passage that very many documents hold) is replaced by the cells of that
@@ -26,30 +27,33 @@ from hotgraph.llm.common import emit, prepare, rows, settle
 from hotgraph.llm.components import components
 from hotgraph.llm.simhash import shingle_hashes
 
-BITS, KEYS = 256, 8
-_LANES = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93], np.uint64)
+BITS, KEYS = 1024, 8
+#: An odd multiplier for each 64 bits of a fingerprint: powers of one constant.
+_LANES = np.multiply.accumulate(np.full(BITS // 64, 0x9E3779B97F4A7C15, np.uint64))
+#: Shingles whose bits are counted together, few enough for counts of one byte.
+_STEP = 248
 _PRINT = pa.schema([("doc_id", pa.int64()), ("tag", pa.int64()), ("fp", pa.binary()), ("keys", pa.list_(pa.int64()))])
 _LINK = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
 
 def radius(similarity: float) -> int:
-    """Bits of 256 that differ at a Jaccard similarity: the mean and half a standard deviation, as misses cost more."""
+    """Bits that differ at a Jaccard similarity: the mean and one standard deviation, as misses cost more."""
     p = math.acos(2 * similarity / (1 + similarity)) / math.pi
-    return round(BITS * p + math.sqrt(BITS * p * (1 - p)) / 2)
+    return round(BITS * p + math.sqrt(BITS * p * (1 - p)))
 
 
 def fingerprint(text: str | None, words: int) -> tuple[bytes, list[int]]:
-    """256 bits as bytes, and the smallest shingle hashes as signed longs. Each shingle counts once."""
+    """All bits as bytes, and the smallest shingle hashes as signed longs. Each shingle counts once."""
     h = np.unique(shingle_hashes(text, words))
     if not len(h):
         return bytes(BITS // 8), []
     ones = np.zeros(BITS, np.int64)
-    for at in range(0, len(h), 1 << 14):
-        x = h[at : at + (1 << 14), None] * _LANES
+    for at in range(0, len(h), _STEP):
+        x = h[at : at + _STEP, None] * _LANES
         x ^= x >> np.uint64(32)
         x *= np.uint64(0x9FB21C651E98DF25)
         x ^= x >> np.uint64(29)
-        ones += np.unpackbits(x.view(np.uint8).reshape(len(x), -1), axis=1).sum(0, dtype=np.int64)
+        ones += np.unpackbits(x.view(np.uint8).reshape(len(x), -1), axis=1).sum(0, dtype=np.uint8)
     return np.packbits(ones * 2 > len(h)).tobytes(), h[:KEYS].view(np.int64).tolist()
 
 
@@ -65,7 +69,7 @@ def fingerprints(docs: DataFrame, words: int = 5) -> DataFrame:
 
 
 def forest(prints: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
-    """Links of a spanning forest of the rows (four 64-bit lanes each) at most so many bits apart.
+    """Links of a spanning forest of the rows (64-bit lanes) at most so many bits apart.
 
     The BK-tree is built and searched together: at a node all rows of its subtree get their distance, which is their
     edge, and of the rows that search here only those within the radius of an edge go down it.
