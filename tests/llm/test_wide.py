@@ -62,3 +62,19 @@ def test_forest():
     for a in range(len(prints)):
         for b in range(a):
             assert (root(a) == root(b)) or int(np.bitwise_count(prints[a] ^ prints[b]).sum()) > 8
+
+
+def test_links_are_exact_at_the_similarity_itself(spark):
+    """Short and unequal texts: pairs at 0.8 are linked, pairs just below are not."""
+    r = random.Random(8)
+    texts, want = [], []
+    for words, less in [(9, 1), (8, 1), (19, 3), (19, 4), (104, 20), (104, 21), (404, 80), (404, 82)]:
+        for _ in range(8):
+            whole = [f"v{r.randrange(10**9)}" for _ in range(words)]
+            texts += [" ".join(whole), " ".join(whole[: words - less])]
+            want.append((words - 4 - less) / (words - 4) >= 0.8)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").repartition(4)
+    for cap in (4096, 10):
+        group = {x.doc_id: x.group for x in w.similar(docs, cap=cap).collect()}
+        assert [group[2 * k] == group[2 * k + 1] for k in range(len(want))] == want
+        assert len(set(group.values())) == len(texts) - sum(want)
