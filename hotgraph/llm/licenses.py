@@ -1,10 +1,13 @@
 """License scan: Dice coefficient over word bigrams against licence templates, with size bounds that prune.
 
-Units of a text are its lines, and the text as a whole. A unit is normalised (words of letters, digits and non-ASCII
-characters, A-Z lower-cased, version numbers reduced to their first number) and its multiset of word bigrams is
-compared with each template's: Dice = 2 |A and B| / (|A| + |B|). As the overlap is at most the smaller size, a template
-of b bigrams can reach the threshold t only for a between b t / (2 - t) and b (2 - t) / t; all others are pruned by size,
-and of the rest only those that share a bigram are compared. The templates are fixed and few, so they travel in code.
+Units of a text are its windows of words, across line breaks and inside lines. A text is normalised (words of letters,
+digits and non-ASCII characters, A-Z lower-cased, version numbers reduced to their first number) and the multiset of word
+bigrams of a window is compared with each template's: Dice = 2 |A and B| / (|A| + |B|). As the overlap is at most the
+smaller size, a window can reach the threshold t for a template of b bigrams only with b t / (2 - t) to b (2 - t) / t of
+them, and at least b t / (2 - t) shared ones: templates that share fewer with the whole text are pruned, and so are
+starts with fewer in reach. The closest window begins and ends with a shared bigram, so all others are passed over. Of
+windows that overlap the closest counts for one template, and between templates the one with most shared bigrams, so
+a notice inside a whole licence is not found again. The templates are fixed and few, so they travel in code.
 
 A null or empty text has no units and no licence. Repeated rows are reported each. Only doc_id and text are read.
 """
@@ -12,15 +15,18 @@ A null or empty text has no units and no licence. Repeated rows are reported eac
 from __future__ import annotations
 
 import re
+from bisect import bisect
 from collections import Counter, defaultdict
 from collections.abc import Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from hotgraph.llm.common import emit, prepare, rows
 from hotgraph.llm.decontaminate import normal_words
+from hotgraph.llm.licensetexts import FULL_TEXTS
 
 THRESHOLD = 0.8
 
@@ -58,8 +64,12 @@ _ARROW = pa.schema([
 ])
 
 
+def words_of(text: str) -> list[bytes]:
+    return normal_words(re.sub(r"(\d+)(?:\.\d+)+", r"\1", text))
+
+
 def bigrams(text: str) -> Counter:
-    words = normal_words(re.sub(r"(\d+)(?:\.\d+)+", r"\1", text))
+    words = words_of(text)
     return Counter(zip(words, words[1:], strict=False))
 
 
@@ -73,12 +83,19 @@ class Templates:
 
     def __init__(self, threshold: float) -> None:
         self.threshold = threshold
-        self.all = [(name, bigrams(t)) for name, texts in TEMPLATES.items() for t in texts]
+        self.all = [(name, bigrams(t)) for name, texts in TEMPLATES.items() for t in (*texts, *FULL_TEXTS.get(name, ()))]
         self.by: dict[tuple, list[int]] = defaultdict(list)
         for k, (_, b) in enumerate(self.all):
             for g in b:
                 self.by[g].append(k)
         sizes = [b.total() for _, b in self.all]
+        self.place = {g: k for k, g in enumerate(self.by)}
+        #: How often each template holds each bigram, and the least overlap and the largest window of each template.
+        self.counts = np.zeros((len(self.place), len(self.all)), np.int32)
+        for k, (_, b) in enumerate(self.all):
+            self.counts[[self.place[g] for g in b], k] = list(b.values())
+        self.need = np.ceil(np.array(sizes) * threshold / (2 - threshold) - 1e-9).astype(np.int64)
+        self.reach = np.floor(np.array(sizes) * (2 - threshold) / threshold + 1e-9).astype(np.int64)
         self.least = min(sizes) * threshold / (2 - threshold) - 1e-9
         self.most = max(sizes) * (2 - threshold) / threshold + 1e-9
 
@@ -93,22 +110,63 @@ class Templates:
         return (-min(found)[0], min(found)[1]) if found else None
 
 
-def find(text: str | None, templates: Templates) -> list[tuple[str, int, float]]:
-    """(licence, line or -1 for the whole text, Dice) in the order of lines."""
-    out = []
-    if not text:
-        return out
-    lines = text.split("\n")
-    for k, line in enumerate([text, *lines] if len(lines) > 1 else lines):
-        if len(line) < 2 * templates.least + 1:  # n bigrams need 2 n + 1 characters
-            continue
-        if got := templates.best(bigrams(line)):
-            out.append((got[1], k - 1 if len(lines) > 1 else 0, got[0]))
+    def windows(self, k: int, at: np.ndarray, gram: np.ndarray) -> list[tuple[int, float, int, int]]:
+        """(overlap, Dice, first and last bigram) of the windows that reach the threshold for template k, none overlapping.
+
+        at, gram: places in the text of the bigrams that any template holds, and which they are.
+        """
+        own = self.counts[gram, k] > 0
+        at, gram = at[own], gram[own]
+        kinds, gram = np.unique(gram, return_inverse=True)
+        most, size = self.counts[kinds, k], self.all[k][1].total()
+        order = np.argsort(gram, kind="stable")
+        first = np.searchsorted(gram[order], np.arange(len(kinds)))
+        turn = np.empty(len(gram), np.int64)  # how often the bigram came before in the text
+        turn[order] = np.arange(len(gram)) - first[gram[order]]
+        end = np.searchsorted(at, at + self.reach[k])
+        before, last, found = np.zeros(len(kinds), np.int64), 0, []
+        for i in np.flatnonzero(end - np.arange(len(at)) >= self.need[k]).tolist():
+            before += np.bincount(gram[last:i], minlength=len(kinds))
+            last, here = i, slice(i, end[i])
+            both = np.cumsum(turn[here] - before[gram[here]] < most[gram[here]])
+            d = 2 * both / (size + at[here] - at[i] + 1)
+            if d[j := int(d.argmax())] >= self.threshold:
+                found.append((int(both[j]), float(d[j]), int(at[i]), int(at[i + j])))
+        return apart(sorted(found, key=lambda w: (-w[1], -w[0], w[2])))
+
+
+def apart(found: list[tuple]) -> list[tuple]:
+    """Those of the windows (.., .., first, last, ..) that share no bigram with an earlier one of the list."""
+    first, out = [], []
+    for w in found:
+        k = bisect(first, (w[2],))
+        if (k == 0 or first[k - 1][1] < w[2]) and (k == len(first) or first[k][0] > w[3]):
+            first.insert(k, (w[2], w[3]))
+            out.append(w)
     return out
 
 
+def find(text: str | None, templates: Templates) -> list[tuple[str, int, float]]:
+    """(licence, line on which its window begins, Dice) in the order of the text."""
+    words = words_of(text or "")
+    place = templates.place.get
+    gram = np.array([place(g, -1) for g in zip(words, words[1:], strict=False)], np.int64)
+    at = np.flatnonzero(gram >= 0)
+    gram = gram[at]
+    kinds, often = np.unique(gram, return_counts=True)
+    shared = np.minimum(templates.counts[kinds], often[:, None]).sum(0)
+    found = [
+        (*w, templates.all[k][0]) for k in np.flatnonzero(shared >= templates.need).tolist() for w in templates.windows(k, at, gram)
+    ]
+    if not found:
+        return []
+    ends = np.cumsum([len(words_of(line)) for line in text.split("\n")])
+    best = sorted(apart(sorted(found, key=lambda w: (-w[0], -w[1], w[4], w[2]))), key=lambda w: w[2])
+    return [(name, int(np.searchsorted(ends, start, side="right")), d) for _, d, start, _, name in best]
+
+
 def licenses(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """SCHEMA for each document: the licences found, by line; line -1 is the text as a whole."""
+    """SCHEMA for each document: the licences found, in the order of the text."""
     prepare(docs.sparkSession)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
