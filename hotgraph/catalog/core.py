@@ -407,7 +407,7 @@ def page_rank_program(spark: SparkSession, sf_dir: str) -> DataFrame:
 def sssp_hops(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = graph(spark, sf_dir, "social_urgent")
     source = ends(e).agg(F.min("id")).first()[0]
-    found = programs.run(programs.shortest_hops(source if source is not None else -1), e, 12)
+    found = programs.run(programs.shortest_hops(source if source is not None else -1), e, None)
     return found.where("value is not null").select("id", F.col("value").alias("hop"))
 
 

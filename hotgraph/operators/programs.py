@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass
+from itertools import count
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -30,21 +31,26 @@ class VertexProgram:
     after: Callable[[DataFrame], DataFrame] | None = None
 
 
-def run(program: VertexProgram, edges: DataFrame, iterations: int, style: str = "vertex", vertices: DataFrame | None = None) -> DataFrame:
-    """(id, value) after the rounds. Both styles, vertex-centric and gather-sum-apply, lower to this one plan."""
+def run(program: VertexProgram, edges: DataFrame, iterations: int | None, style: str = "vertex", vertices: DataFrame | None = None) -> DataFrame:
+    """(id, value) after the rounds, or with None once no value changes. Both styles, vertex-centric and gather-sum-apply, lower to this one plan."""
     if style not in ("vertex", "gather"):
         raise ValueError("style is vertex or gather")
     known = (ends(edges) if vertices is None else vertices).join(out_degrees(edges), "id", "left")
     known = known.select("id", F.coalesce("out_deg", F.lit(0)).alias("out_deg"))
     values = pin(known.select("id", "out_deg", program.init().alias("value")), "id")
-    links = pin(edges.select("src", "dst"), "src")
-    for k in range(iterations):
+    links, known_values = pin(edges.select("src", "dst"), "src"), None
+    for k in count() if iterations is None else range(iterations):
         sent = links.join(values.where("value is not null"), F.col("src") == F.col("id")).select("dst", program.message().alias("message"))
         got = sent.where("message is not null").groupBy(F.col("dst").alias("id")).agg(program.combine(F.col("message")).alias("got"))
         values = values.join(got, "id", "left").select("id", "out_deg", program.apply().alias("value"))
         if program.after is not None:
             values = program.after(values)
-        if (k + 1) % CUT_EVERY == 0 and k + 1 < iterations:
+        if iterations is None:
+            old, values = known_values, pin(values, "id")
+            known_values = values.select(F.col("id").alias("_id"), F.col("value").alias("_value"))
+            if old is not None and values.join(old, F.col("id") == F.col("_id")).where("not value <=> _value").isEmpty():
+                break
+        elif (k + 1) % CUT_EVERY == 0 and k + 1 < iterations:
             values = values.checkpoint(eager=True)
     return values.select("id", "value")
 
