@@ -240,7 +240,7 @@ for _n in (0, 1, 2, 4):
     _ring_key(_n)
 
 
-def _influence(spark: SparkSession, sf_dir: str, mode: str, delta: float, threshold: str = "absolute", max_hops: int = 8) -> DataFrame:
+def _influence(spark: SparkSession, sf_dir: str, mode: str, delta: float, threshold: str = "absolute", max_hops: int | None = None) -> DataFrame:
     at = point(spark, sf_dir)
     core = hot(spark, sf_dir, P.but(delta=None))
     mean = mean_degree(at.now).first()["mean_degree"]
@@ -275,7 +275,7 @@ def _spread_sql(first: str, step: str, least: str, again: str, hops: int) -> lis
 @key("ring_influence_anchor", ctes(*SCORED, seeds_sql(0.2), *ring_sql(1), *KNOWN, *_spread_sql(f"select k.id, 0 as hop, {_budget(0.5)} as b from known k join core c on c.id = k.id where deg > 0 and s > 0 and {_budget(0.5)} >= 1", "w.b - 1", "0", "1", 6))
     + " select id, hop, round(budget, 6) as budget from got where id not in (select id from core)")
 def ring_influence_anchor(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _influence(spark, sf_dir, "anchor", 0.5, max_hops=6)
+    return _influence(spark, sf_dir, "anchor", 0.5)
 
 
 @key("ring_path_product", ctes(*SCORED, seeds_sql(0.2), *ring_sql(1), *KNOWN, *_spread_sql("select k.id, 0 as hop, s as b from known k join core c on c.id = k.id where deg > 0", "w.b / d1.n", "0.1", "0", 3))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from itertools import count
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -61,14 +62,15 @@ def expand_hops(edges: DataFrame, seeds: DataFrame, n: int, direction: str = "ou
 
 def expand_by_influence(
     edges: DataFrame, anchors: DataFrame, inside: DataFrame, scores: DataFrame, delta: float, *, mean: float, mode: str = "candidate",
-    threshold: str = "absolute", direction: str = "out", max_hops: int = 8,
+    threshold: str = "absolute", direction: str = "out", max_hops: int | None = None,
 ) -> DataFrame:
     """(id, hop, budget) of vertices outside `inside` that the anchors' changes may still move by delta.
 
     candidate: a vertex's own budget covers its distance from the nearest anchor. anchor: the budget of the anchor it is
     reached from does, and the largest remaining budget is carried along. path_product: budget is the largest
     contribution that arrives, divided by the actual degree at every hop, and it is at least delta. With a relative
-    threshold scores count as 1. mean is the mean degree; at most 1 allows one hop only.
+    threshold scores count as 1. mean is the mean degree; at most 1 allows one hop only. Without max_hops the ring ends
+    where budgets or contributions do.
     """
     if delta <= 0:
         raise ValueError("delta is above 0")
@@ -84,7 +86,8 @@ def expand_by_influence(
         found = _carried(hops, start, known, delta, mean, max_hops)
     else:
         limit = known.agg(F.max(influence_budget("s", "deg", mean, delta))).first()[0]
-        most = min(max_hops, math.floor((limit or 0.0) + 1e-9))
+        most = math.floor((limit or 0.0) + 1e-9)
+        most = most if max_hops is None else min(max_hops, most)
         reached = expand_hops(edges, start, max(most, 0), direction)
         found = reached.join(known, "id").where(within_budget("hop", "s", "deg", mean, delta)).select(
             "id", "hop", influence_budget("s", "deg", mean, delta).alias("budget")
@@ -92,13 +95,13 @@ def expand_by_influence(
     return found.join(inside.select("id"), "id", "left_anti")
 
 
-def _carried(hops: DataFrame, start: DataFrame, known: DataFrame, delta: float, mean: float, max_hops: int) -> DataFrame:
+def _carried(hops: DataFrame, start: DataFrame, known: DataFrame, delta: float, mean: float, max_hops: int | None) -> DataFrame:
     left = influence_budget("s", "deg", mean, delta)
     front = start.join(known, "id").select("id", left.alias("budget")).where("budget >= 1")
     return _spread(hops, front, lambda f: f.withColumn("out", F.col("budget") - 1), F.lit(0.0), F.lit(1.0), max_hops)
 
 
-def _products(hops: DataFrame, start: DataFrame, known: DataFrame, delta: float, max_hops: int) -> DataFrame:
+def _products(hops: DataFrame, start: DataFrame, known: DataFrame, delta: float, max_hops: int | None) -> DataFrame:
     front = start.join(known.where("deg > 0"), "id").select("id", F.col("s").alias("budget"))
     degree = known.where("deg > 0").select("id", "deg")
     sends = lambda f: f.join(degree, "id").withColumn("out", F.col("budget") / F.col("deg"))
@@ -106,10 +109,10 @@ def _products(hops: DataFrame, start: DataFrame, known: DataFrame, delta: float,
 
 
 def _spread(hops, front, sends, least, again, max_hops) -> DataFrame:  # noqa: ANN001
-    """(id, hop, budget): the largest value that arrives over at most max_hops, and the hop it first arrives at."""
+    """(id, hop, budget): the largest value that arrives, over at most max_hops if given, and the hop it first arrives at."""
     best = None
     front = settle(front, "front")
-    for h in range(1, max_hops + 1):
+    for h in count(1) if max_hops is None else range(1, max_hops + 1):
         out = sends(front).select(F.col("id").alias("src"), "out")
         got = hops.join(out, "src").groupBy(F.col("dst").alias("id")).agg(F.max("out").alias("budget")).where(F.col("budget") >= least)
         if best is None:

@@ -49,7 +49,7 @@ class Params:
     signal: str = "score"  # score, score_change
     anchor: str = "seeds+ring"  # ring, seeds+ring
     mean_degree: str = "graph"  # graph, touched
-    max_hops: int = 8
+    max_hops: int | None = None  # None: the influence ring ends by itself
     warm: bool = True
     allow_all: bool = False
 
