@@ -5,8 +5,9 @@ the first piece may be shorter. All that the choice of bins needs is how many pi
 most `capacity` numbers whatever the input. For the fullest bin, the largest length left opens it and a subset-sum
 over a bitset of reachable fillings (one bit a token) finds the fullest combination of the lengths left, each as
 often as there are pieces; that combination is removed as often as the counts allow, and so on. The plan is a
-short table of intervals of ranks. Pieces get their rank inside their length by salted groups, so no length, however
-common, is one group, and look up their interval by a broadcast join.
+short table of intervals of ranks. Pieces are numbered when they are written and get their rank inside their length by
+groups salted with that number, so neither a common length nor repeated rows make one large group, and the number of
+groups grows with the pieces. They look up their interval by a broadcast join.
 
 A null text is empty: one piece of one token. Repeated rows are packed each. Only doc_id and text are read.
 """
@@ -18,6 +19,7 @@ import re
 import zlib
 from collections import Counter
 from collections.abc import Iterable, Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -29,6 +31,10 @@ from hotgraph.llm.common import emit, prepare, rows, settle
 CAPACITY, END = 1024, 2  # fixed values
 #: Entries that a worker's cache of words may hold.
 WORDS_HELD = 400_000
+#: Rows of a salted group: at least and at most. Between them there are `GROUPS` groups.
+LEAST, MOST, GROUPS = 512, 100_000, 4096
+#: Groups whose first ranks may be broadcast, at three longs each.
+BASES = 200_000
 _PIECE = pa.schema([
     ("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()),
 ])
@@ -39,12 +45,13 @@ class Encoder:
     """Ids of the byte-level BPE as little-endian unsigned 32-bit bytes, the same as the tokenizer file's own.
 
     A text is split at single spaces and line ends, where this vocabulary's pattern always splits, and the words'
-    ids come from a cache. Texts with other runs of white space, and words outside Latin, go through the tokenizer
-    whole. The tokenizer's special string in a text is its special id, as in the file.
+    ids come from a cache. Texts with a run of two or more white-space characters of any kind (a no-break space may be
+    one) are not split, and what is outside Latin goes through the file's tokenizer. The tokenizer's special string in
+    a text is its special id, as in the file.
     """
 
     #: Where a cut at the space could differ from the pattern.
-    ODD = ("  ", "\n\n", " \n", "\n ")
+    ODD = re.compile(r"\s\s")
 
     def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer
@@ -83,14 +90,17 @@ class Encoder:
     def __call__(self, text: str) -> bytes:
         if any(s in text for s in self.special):
             return np.array(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-        if any(s in text for s in self.ODD):
+        if self.ODD.search(text):
             return self._plain(text)
         first, *more = text.replace("\n", " \n").split(" ")
         held = self.words.get
         return self._plain(first) + b"".join([held(w) or self._word(w) for w in more])
 
 
-_encoders: dict[str, Encoder] = {}
+@lru_cache(maxsize=2)
+def encoder(path: str) -> Encoder:
+    """The encoder of a file, made once in a worker process."""
+    return Encoder(path)
 
 
 def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
@@ -98,7 +108,7 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end: int =
     prepare(docs.sparkSession)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = _encoders.get(tokenizer) or _encoders.setdefault(tokenizer, Encoder(tokenizer))
+        encode = encoder(tokenizer)
         last = int(end).to_bytes(4, "little")
 
         def each() -> Iterator[tuple]:
@@ -165,23 +175,29 @@ def intervals(bins: list[tuple[int, dict[int, int]]]) -> list[tuple[int, int, in
     return out
 
 
-def pack(cut: DataFrame, capacity: int = CAPACITY, group: int = 512, groups: int = 4096) -> DataFrame:
-    """cut (PIECE rows, already written) with sequence_id and offset. group: least rows of a salted group."""
+def numbered(cut: DataFrame) -> DataFrame:
+    """cut written with a number for each row, which later reads of it agree on."""
+    return settle(cut.withColumn("row", F.monotonically_increasing_id()), "pieces")
+
+
+def pack(cut: DataFrame, capacity: int = CAPACITY, group: int | None = None, bases_held: int = BASES) -> DataFrame:
+    """cut (PIECE rows, from numbered()) with sequence_id and offset. group: rows of a salted group, else by size."""
     spark = cut.sparkSession
     counts = {r.length: r.n for r in cut.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most capacity rows
-    size = max(group, -(-sum(counts.values()) // groups))
-    salts = spark.createDataFrame([(k, -(-v // size)) for k, v in counts.items()], "length bigint, salts bigint")
-    salted = cut.join(F.broadcast(salts), "length").withColumn(
-        "salt", F.pmod(F.xxhash64("doc_id", "piece", "start", "ids_crc32"), F.col("salts"))
-    )
+    size = group or min(MOST, max(LEAST, -(-sum(counts.values()) // GROUPS)))
+    parts = {k: -(-v // size) for k, v in counts.items()}
+    salts = spark.createDataFrame(list(parts.items()), "length bigint, salts bigint")
+    salted = cut.join(F.broadcast(salts), "length").withColumn("salt", F.pmod(F.xxhash64("row"), F.col("salts")))
     by = Window.partitionBy("length").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)
     bases = (
-        salted.groupBy("length", "salt").agg(F.count("*").alias("n"))  # at most capacity + groups rows
+        salted.groupBy("length", "salt").agg(F.count("*").alias("n"))  # a row a group
         .select("length", "salt", F.coalesce(F.sum("n").over(by), F.lit(0)).alias("base"))
     )
-    within = Window.partitionBy("length", "salt").orderBy("doc_id", "piece", "ids_crc32")
+    if sum(parts.values()) <= bases_held:
+        bases = F.broadcast(bases)
+    within = Window.partitionBy("length", "salt").orderBy("row")
     ranked = (
-        salted.withColumn("k", F.row_number().over(within)).join(F.broadcast(bases), ["length", "salt"])
+        salted.withColumn("k", F.row_number().over(within)).join(bases, ["length", "salt"])
         .withColumn("rank", F.col("base") + F.col("k") - 1)
     )
     found = spark.createDataFrame(
@@ -199,4 +215,4 @@ def pack(cut: DataFrame, capacity: int = CAPACITY, group: int = 512, groups: int
 
 def packed(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset for each piece."""
-    return pack(settle(pieces(docs, tokenizer, capacity, end), "pieces"), capacity)
+    return pack(numbered(pieces(docs, tokenizer, capacity, end)), capacity)
