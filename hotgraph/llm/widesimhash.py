@@ -6,9 +6,11 @@ pairs of the wanted similarity but for five standard deviations. Candidates form
 confirmed by the exact similarity of the shingle sets, so that nothing below the wanted one is linked. So wide a radius rules
 out cells of equal bits, as the short fingerprints use. Cells are named by content instead: each document goes to the cells
 of its `KEYS` smallest shingle hashes, of which two documents at 0.8 share at least one but for a chance of about
-0.2 ** 8. A cell of over `cap` fingerprints (a passage that very many documents hold) is replaced by the cells of that
-key with each other key of the document; one that is still larger is dealt in parts that meet pairwise. In a cell the
-fingerprints form a BK-tree that all of them search at once; a spanning forest of the links comes back.
+0.2 ** 8. A cell of over `cap` fingerprints (a passage that very many documents hold) is split by the sizes of the shingle
+sets: sets at the similarity have sizes in that ratio, so bands that wide and their neighbours suffice, and no pair is
+lost. A band that is still larger is dealt in parts that meet pairwise. In a cell the fingerprints form a BK-tree that
+all of them search at once; a spanning forest of the links comes back. The work of a hot cell grows with the square of
+its largest band.
 
 Equal shingle sets (128 bits of hash) are one node. Nulls and empty texts have no shingles, so they are one group. Repeated rows and null ids are
 rows of their own. Only doc_id and text are read.
@@ -150,21 +152,19 @@ def _meets() -> Column:
     )
 
 
-def _cells(nodes: DataFrame, cap: int) -> DataFrame:
+def _cells(nodes: DataFrame, cap: int, similarity: float | None) -> DataFrame:
     """(key, part, node, fp) of all cells that hold more than one fingerprint."""
-    own = nodes.select("node", F.explode("keys").alias("key"))
+    band = F.lit(0) if similarity is None else F.floor(F.log(F.greatest("size", F.lit(1))) / max(1e-6, -1.0001 * math.log(similarity)))
+    own = nodes.select("node", band.cast("int").alias("band"), F.explode("keys").alias("key"))
     shared = settle(own.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "shared")
     met = settle(own.join(shared, "key"), "met")
     usual = met.where(F.col("n") <= cap).select("key", "node", F.lit(1).alias("parts"))
-    large = met.where(F.col("n") > cap).select("node", F.col("key").alias("h"))
-    pairs = (
-        large.join(nodes.select("node", F.explode("keys").alias("g")), "node").where("h <> g")
-        .select(F.xxhash64(F.least("h", "g"), F.greatest("h", "g")).alias("key"), "node").distinct()
-    )
-    paired = settle(pairs, "pairs")
-    sizes = settle(paired.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "sizes")
-    paired = paired.join(sizes, "key").select("key", "node", F.ceil(F.col("n") / cap).cast("int").alias("parts"))
-    dealt = usual.unionByName(paired).select("key", F.explode(_meets()).alias("part"), "node")
+    bands = F.array("band") if similarity is None else F.array("band", F.col("band") + 1)
+    large = met.where(F.col("n") > cap).select("key", "node", F.explode(bands).alias("band"))
+    large = settle(large.select(F.xxhash64("key", "band").alias("key"), "node"), "large")
+    sizes = settle(large.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "sizes")
+    large = large.join(sizes, "key").select("key", "node", F.ceil(F.col("n") / cap).cast("int").alias("parts"))
+    dealt = usual.unionByName(large).select("key", F.explode(_meets()).alias("part"), "node")
     return dealt.join(nodes.select("node", "fp"), "node").select("key", "part", "node", "fp")
 
 
@@ -192,9 +192,12 @@ def _linked(dealt: DataFrame, most: int, similarity: float | None = None) -> Dat
     return dealt.repartition("key", "part").sortWithinPartitions("key", "part", "node").mapInArrow(run, "a bigint, b bigint")
 
 
-def links(nodes: DataFrame, most: int, cap: int = 4096) -> DataFrame:
-    """(a, b): candidate links between nodes(node, fp, keys) that join what all links of a cell at most so many bits apart join."""
-    return _linked(_cells(nodes, cap), most)
+def links(nodes: DataFrame, most: int, cap: int = 4096, similarity: float | None = None) -> DataFrame:
+    """(a, b): candidate links between nodes(node, fp, keys) that join what all links at most so many bits apart between
+    nodes with a common key join. With a similarity, nodes also has the size of each set, and links between sets whose
+    sizes rule the similarity out may be missing.
+    """
+    return _linked(_cells(nodes, cap, similarity), most)
 
 
 def confirmed(named: DataFrame, nodes: DataFrame, prints: DataFrame, similarity: float, cap: int = 4096) -> DataFrame:
@@ -211,7 +214,7 @@ def similar(docs: DataFrame, words: int = 5, similarity: float = 0.8, cap: int =
     """(doc_id, tag, group) for each document; equal groups are linked by steps of at least the similarity."""
     prints = settle(fingerprints(docs, words).withColumn("row", F.monotonically_increasing_id()), "prints")
     nodes = settle(prints.groupBy("sig").agg(*(F.min(c).alias(n) for c, n in (("row", "node"), ("fp", "fp"), ("keys", "keys"), ("size", "size")))), "nodes")
-    near = components(links(nodes, radius(similarity), cap))
+    near = components(links(nodes, radius(similarity), cap, similarity))
     named = components(confirmed(near, nodes, prints, similarity, cap))
     each = settle(nodes.join(named, "node", "left").select("sig", F.coalesce("root", "node").alias("group")), "classes")
     return prints.select("doc_id", "tag", "sig").join(each, "sig", "left").select("doc_id", "tag", "group")

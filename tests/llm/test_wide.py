@@ -78,3 +78,62 @@ def test_links_are_exact_at_the_similarity_itself(spark):
         group = {x.doc_id: x.group for x in w.similar(docs, cap=cap).collect()}
         assert [group[2 * k] == group[2 * k + 1] for k in range(len(want))] == want
         assert len(set(group.values())) == len(texts) - sum(want)
+
+
+@pytest.mark.parametrize("cap", [4096, 3])
+@pytest.mark.parametrize("similarity", [None, 0.8])
+def test_nodes_whose_only_common_key_is_a_hot_one_meet(spark, cap, similarity):
+    """Whatever a cell's size, every pair in it that the radius and the sizes allow is compared."""
+    rows = [(k, bytes(127) + bytes([1 << k]), [7, 1000 + k], 100 + 4 * k) for k in range(6)] + [(9, bytes([255] * 128), [7], 100), (10, bytes(128), [8], 100)]
+    nodes = spark.createDataFrame(rows, "node bigint, fp binary, keys array<bigint>, size bigint")
+    up = {k: k for k, *_ in rows}
+
+    def root(k):
+        while up[k] != k:
+            k = up[k]
+        return k
+
+    for r in w.links(nodes, 2, cap, similarity).collect():
+        up[max(root(r.a), root(r.b))] = min(root(r.a), root(r.b))
+    assert {k: root(k) for k in up} == dict.fromkeys(range(6), 0) | {9: 9, 10: 10}
+
+
+def test_recall_over_all_pairs_and_nothing_below(spark):
+    """The given documents: exact similarity of all pairs of five-word shingle sets against the groups."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    texts = {r.doc_id: r.text for r in docs.select("doc_id", "text").collect()}
+    sets = {k: frozenset(shingle_hashes(t, 5).tolist()) for k, t in texts.items()}
+    holds = {}
+    for k, s in sets.items():
+        for h in s:
+            holds.setdefault(h, []).append(k)
+    up = {k: k for k in sets}
+
+    def root(k):
+        while up[k] != k:
+            k = up[k]
+        return k
+
+    pairs = 0
+    for k, s in sets.items():
+        common = {}
+        for h in s:
+            for j in holds[h]:
+                if j < k:
+                    common[j] = common.get(j, 0) + 1
+        for j, n in common.items():
+            if n >= 0.8 * (len(s) + len(sets[j]) - n) - 1e-9:
+                pairs += 1
+                up[max(root(k), root(j))] = min(root(k), root(j))
+    empty = [k for k, s in sets.items() if not s]
+    for k in empty:
+        up[root(k)] = root(empty[0])
+    group = {r.doc_id: r.group for r in w.similar(docs).collect()}
+    members = {}
+    for k in sets:
+        members.setdefault(root(k), set()).add(k)
+    found = {}
+    for k, g in group.items():
+        found.setdefault(g, set()).add(k)
+    assert pairs > 50
+    assert sorted(map(sorted, found.values())) == sorted(map(sorted, members.values()))
