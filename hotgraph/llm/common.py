@@ -5,13 +5,14 @@ from __future__ import annotations
 from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
 from hotgraph import storage
 from hotgraph.storage import release as release_scratch
 from hotgraph.storage import settle
 
-__all__ = ["WORD_TABLE", "emit", "fresh", "prepare", "read", "release_scratch", "rows", "settle"]
+__all__ = ["WORD_TABLE", "emit", "examples", "fresh", "prepare", "read", "release_scratch", "rows", "settle"]
 
 #: Rows and bytes of a batch that goes to a Python worker, in place of Spark's defaults: documents are long, and both
 #: the JVM's buffers and the worker hold whole batches.
@@ -71,3 +72,19 @@ def _batch(held: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     prepare(spark)
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
+
+
+def examples(docs: DataFrame, labels: DataFrame, sample: int, size: int) -> DataFrame:
+    """(doc_id, text, y, h): texts to learn from, of labels(doc_id, y), which has each doc_id once.
+
+    At most `sample` of them, in the order of h, a hash of doc_id, while their texts have at most `size` bytes in all;
+    the first is taken whatever its size. A doc_id with several texts gives its shortest (of equals, by hash), once:
+    repeated rows neither weigh more nor make more rows. Only labels whose document is there count.
+    """
+    own = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.octet_length(F.coalesce("text", F.lit(""))).alias("size"), F.xxhash64("text").alias("tag"))
+    one = own.groupBy("doc_id").agg(F.min(F.struct("size", "tag")).alias("t"))
+    few = labels.join(one, "doc_id").select("doc_id", "y", "t.size", "t.tag", F.xxhash64("doc_id").alias("h")).orderBy("h", "doc_id").limit(sample)
+    before = F.coalesce(F.sum("size").over(Window.partitionBy(F.lit(0)).orderBy("h", "doc_id")), F.lit(0))  # `sample` rows
+    few = few.withColumn("held", before).where((F.col("held") <= size) | (F.col("held") == F.col("size"))).select("doc_id", "y", "h", "tag")
+    texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text", F.xxhash64("text").alias("tag"))
+    return texts.join(F.broadcast(few), ["doc_id", "tag"]).dropDuplicates(["doc_id"]).select("doc_id", "text", "y", "h")  # `sample` rows

@@ -2,8 +2,8 @@
 
 Words are runs of letters, digits and non-ASCII characters with A-Z lower-cased. Features are words, their stems (first
 five bytes), adjacent pairs, and pairs that skip one or two words, hashed to 2^bits places; a feature counts once a document. Training
-goes over a bounded sample of labelled rows (`sample`, by hash of doc_id, so it is the same on every run): their
-features are made on the executors, and one task runs the per-coordinate updates. The L1 term leaves few weights
+goes over a bounded sample of labelled documents (`sample` of them and `size` bytes of text, by hash of doc_id, so it is
+the same on every run; a doc_id that has several rows counts once): their features are made on the executors, and one task runs the per-coordinate updates. The L1 term leaves few weights
 that are not zero; only these are collected (at most 2^bits) and broadcast to score every whole text.
 
 A null text is empty; it is scored from the bias. Labels that are null are not used, and a doc_id labelled twice
@@ -24,13 +24,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hotgraph.llm.common import emit, prepare, rows
+from hotgraph.llm.common import emit, examples, prepare, rows
 from hotgraph.llm.decontaminate import normal_words
 
 
 @dataclass(frozen=True)
 class Ftrl:
-    """alpha, beta: the learning rate's scale and offset; l1, l2: regularisation; sample: rows learnt from."""
+    """alpha, beta: the learning rate's scale and offset; l1, l2: regularisation; sample, size: documents learnt from, at
+    most, and bytes of their texts in all.
+    """
 
     bits: int = 20
     alpha: float = 0.5
@@ -39,6 +41,7 @@ class Ftrl:
     l2: float = 1.0
     epochs: int = 5
     sample: int = 8000
+    size: int = 256 << 20
 
 
 #: Bytes of a word that count as its stem.
@@ -100,10 +103,6 @@ def train(docs: DataFrame, labels: DataFrame, p: Ftrl = Ftrl()) -> tuple[float,
     prepare(docs.sparkSession)
     ids = labels.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("toxic").cast("int").alias("y"))
     ids = ids.where(F.col("y").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("y").alias("y"))
-    # The sample is of documents that are there: ids are checked before the limit, texts are read after it.
-    there = ids.join(docs.select(F.col("doc_id").cast("bigint").alias("doc_id")), "doc_id", "left_semi")
-    few = there.orderBy(F.xxhash64("doc_id"), "doc_id").limit(p.sample)
-    texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").join(F.broadcast(few), "doc_id")
     seen = pa.schema([("h", pa.int64()), ("doc_id", pa.int64()), ("y", pa.int32()), ("at", pa.binary())])
     out = pa.schema([("at", pa.int64()), ("w", pa.float64())])
 
@@ -112,13 +111,10 @@ def train(docs: DataFrame, labels: DataFrame, p: Ftrl = Ftrl()) -> tuple[float,
         yield from emit(each, seen, 512)
 
     def learn(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        examples = [(np.frombuffer(at, "<i4"), y) for _, _, y, at in rows(batches)]
-        bias, w = fit(examples, p)
+        bias, w = fit([(np.frombuffer(at, "<i4"), y) for _, _, y, at in rows(batches)], p)
         yield from emit([(-1, bias), *w.items()], out)
 
-    bagged = texts.select("doc_id", "text", "y", F.xxhash64("doc_id").alias("h")).mapInArrow(
-        featurise, "h bigint, doc_id bigint, y int, at binary"
-    )
+    bagged = examples(docs, ids, p.sample, p.size).mapInArrow(featurise, "h bigint, doc_id bigint, y int, at binary")
     learnt = bagged.repartition(1).sortWithinPartitions("h", "doc_id", "at").mapInArrow(learn, "at bigint, w double")
     got = {r.at: r.w for r in learnt.collect()}
     if not got:
