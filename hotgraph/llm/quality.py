@@ -1,15 +1,17 @@
 """Quality classifier: ordinal cumulative-link regression with weights shared by all thresholds.
 
-Grades are 0 < 1 < ... < K - 1, as many as the ratings hold. One weight vector over hashed text features gives a value f;
-K - 1 ordered thresholds give P(grade > k) = sigmoid(f - threshold k). The expected grade is the sum of these tails, and
-the tail above the chosen grade selects. Thresholds stay in order, as each is the one before plus exp of a free number.
+Grades are the distinct ratings in order, whatever numbers they are (negative and fractional ones included), K of them.
+One weight vector over hashed text features gives a value f; K - 1 ordered thresholds give P(rating > grade k) =
+sigmoid(f - threshold k). The expected rating is the smallest and, for each step to the next, its width times its tail;
+the tail above the chosen rating selects. Thresholds stay in order, as each is the one before plus exp of a free number.
 Features are hashed: word shapes (letters to a, A-Z to A, digits to 0, runs shortened), their pairs, runs of other
 characters, and bands of the shares of capitals, digits, symbols and repeated lines, of the length and of word length.
-Fitting goes over a bounded sample of rated rows (`sample`, by hash of doc_id) in one task, by AdaGrad steps on the
-log-likelihood; the weights, at most 2^bits, are broadcast to grade every whole text.
+Fitting goes over a bounded sample of rated documents (`sample` of them and `size` bytes of text, by hash of doc_id; a
+doc_id that has several rows counts once) in one task, by AdaGrad steps on the log-likelihood; the weights, at most
+2^bits, and the thresholds, fewer than `sample`, are broadcast to grade every whole text.
 
-A null text is empty. Ratings that are null are not used; a doc_id rated twice takes its smallest rating. Without two
-grades to learn from, the tail is 1 for every document, so all are kept. Only doc_id, text and the rating are read.
+A null text is empty. Ratings that are null or not finite are not used; a doc_id rated twice takes its smallest rating.
+Without two grades to learn from, the tail is 1 for every document, so all are kept. Only doc_id, text and the rating are read.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hotgraph.llm.common import emit, prepare, rows
+from hotgraph.llm.common import emit, examples, prepare, rows
 from hotgraph.llm.toxicity import held_out
 
 
@@ -36,6 +38,16 @@ class Ordinal:
     l2: float = 1e-5
     epochs: int = 4
     sample: int = 8000
+    size: int = 256 << 20
+
+
+@dataclass(frozen=True)
+class Model:
+    """ratings in order, a threshold between each two, and the weights that are not zero; none without two ratings."""
+
+    ratings: list[float]
+    theta: list[float]
+    weights: dict[int, float]
 
 
 _SHAPES = bytes(
@@ -76,14 +88,16 @@ def _sigmoid(x: np.ndarray | float) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(x, -35, 35)))
 
 
-def fit(examples: list[tuple[np.ndarray, np.ndarray, int]], p: Ordinal) -> tuple[list[float], dict[int, float]]:
-    """Thresholds (ordered; none if there are not two grades) and weights."""
-    grades = max((y for *_, y in examples), default=0) + 1
-    if len({y for *_, y in examples}) < 2:
-        return [], {}
+def fit(rated: list[tuple[np.ndarray, np.ndarray, float]], p: Ordinal) -> Model:
+    """The model of (places, values, rating) of each example, in their order."""
+    ratings = sorted({y for *_, y in rated})
+    grades, rank = len(ratings), {y: k for k, y in enumerate(ratings)}
+    if grades < 2:
+        return Model(ratings, [], {})
+    examples = [(at, value, rank[y]) for at, value, y in rated]
     w, g2 = np.zeros(1 << p.bits), np.full(1 << p.bits, 1e-3)
     free, f2 = np.zeros(grades - 1), np.full(grades - 1, 1e-3)
-    share = [sum(y > k for *_, y in examples) / len(examples) for k in range(grades - 1)]
+    share = 1 - np.cumsum(np.bincount([y for *_, y in examples], minlength=grades))[:-1] / len(examples)
     cut = [-math.log((s + 1e-3) / (1 - s + 1e-3)) for s in share]
     free[0] = cut[0]
     free[1:] = np.log(np.maximum(np.diff(cut), 1e-3))
@@ -107,18 +121,15 @@ def fit(examples: list[tuple[np.ndarray, np.ndarray, int]], p: Ordinal) -> tuple
             free -= 0.05 * d_free / np.sqrt(f2)
     theta = np.cumsum(np.concatenate([free[:1], np.exp(free[1:])]))
     kept = np.flatnonzero(w)
-    return theta.tolist(), dict(zip(kept.tolist(), w[kept].tolist(), strict=True))
+    return Model(ratings, theta.tolist(), dict(zip(kept.tolist(), w[kept].tolist(), strict=True)))
 
 
-def train(docs: DataFrame, labels: DataFrame, rating: str = "quality", p: Ordinal = Ordinal()) -> tuple[list[float], dict[int, float]]:
-    """Fit on up to p.sample rated rows outside the held-out fifth."""
+def train(docs: DataFrame, labels: DataFrame, rating: str = "quality", p: Ordinal = Ordinal()) -> Model:
+    """Fit on the sample of rated rows outside the held-out fifth."""
     prepare(docs.sparkSession)
-    ids = labels.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col(rating).cast("int").alias("y"))
-    ids = ids.where(F.col("y").isNotNull() & (F.col("y") >= 0) & ~held_out()).groupBy("doc_id").agg(F.min("y").alias("y"))
-    there = ids.join(docs.select(F.col("doc_id").cast("bigint").alias("doc_id")), "doc_id", "left_semi")
-    few = there.orderBy(F.xxhash64("doc_id"), "doc_id").limit(p.sample)
-    texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").join(F.broadcast(few), "doc_id")
-    seen = pa.schema([("h", pa.int64()), ("doc_id", pa.int64()), ("y", pa.int32()), ("at", pa.binary()), ("v", pa.binary())])
+    ids = labels.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col(rating).cast("double").alias("y"))
+    ids = ids.where((F.abs("y") < float("inf")) & ~held_out()).groupBy("doc_id").agg(F.min("y").alias("y"))
+    seen = pa.schema([("h", pa.int64()), ("doc_id", pa.int64()), ("y", pa.float64()), ("at", pa.binary()), ("v", pa.binary())])
     out = pa.schema([("at", pa.int64()), ("w", pa.float64())])
 
     def featurise(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -130,30 +141,28 @@ def train(docs: DataFrame, labels: DataFrame, rating: str = "quality", p: Ordina
         yield from emit(each(), seen, 512)
 
     def learn(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        examples = [
-            (np.frombuffer(at, "<i4"), np.frombuffer(v, "<f4"), y) for *_, y, at, v in rows(batches)
-        ]
-        theta, w = fit(examples, p)
-        yield from emit([*((-1 - k, x) for k, x in enumerate(theta)), *w.items()], out)
-
-    bagged = texts.select("doc_id", "text", "y", F.xxhash64("doc_id").alias("h")).mapInArrow(
-        featurise, "h bigint, doc_id bigint, y int, at binary, v binary"
-    )
+        m = fit([(np.frombuffer(at, "<i4"), np.frombuffer(v, "<f4"), y) for *_, y, at, v in rows(batches)], p)
+        below = [*((-1 - 2 * k, x) for k, x in enumerate(m.ratings)), *((-2 - 2 * k, x) for k, x in enumerate(m.theta))]
+        yield from emit([*below, *m.weights.items()], out)
+
+    bagged = examples(docs, ids, p.sample, p.size).mapInArrow(featurise, "h bigint, doc_id bigint, y double, at binary, v binary")
     learnt = bagged.repartition(1).sortWithinPartitions("h", "doc_id", "at").mapInArrow(learn, "at bigint, w double")
-    got = {r.at: r.w for r in learnt.collect()}
-    return [got.pop(k) for k in sorted((k for k in got if k < 0), reverse=True)], got
+    got = sorted(((r.at, r.w) for r in learnt.collect()), reverse=True)
+    pick = lambda odd: [w for at, w in got if at < 0 and at % 2 == odd]
+    return Model(pick(1), pick(0), {at: w for at, w in got if at >= 0})
 
 
-def grade(docs: DataFrame, model: tuple[list[float], dict[int, float]], p: Ordinal = Ordinal(), above: int = 0) -> DataFrame:
-    """(doc_id, expected_grade, tail) for each document; tail = P(grade > above)."""
+def grade(docs: DataFrame, model: Model, p: Ordinal = Ordinal(), above: float = 0) -> DataFrame:
+    """(doc_id, expected_grade, tail) for each document; tail = P(rating > above)."""
     prepare(docs.sparkSession)
-    held = docs.sparkSession.sparkContext.broadcast(model)
+    held = docs.sparkSession.sparkContext.broadcast((model.ratings, model.theta, model.weights))
     schema = pa.schema([("doc_id", pa.int64()), ("expected_grade", pa.float64()), ("tail", pa.float64())])
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        theta, sparse = held.value
+        ratings, theta, sparse = held.value
         w = np.zeros(1 << p.bits)
         w[list(sparse)] = list(sparse.values())
+        step, at_most = np.diff(ratings), int(np.searchsorted(ratings, above, side="right"))
 
         def each() -> Iterator[tuple]:
             for doc, text in rows(batches):
@@ -162,7 +171,8 @@ def grade(docs: DataFrame, model: tuple[list[float], dict[int, float]], p: Ordin
                     continue
                 at, v = features(text, p.bits)
                 tail = _sigmoid(float(w[at] @ v) - np.array(theta))
-                yield doc, float(tail.sum()), float(tail[min(above, len(tail) - 1)])
+                over = 1.0 if at_most == 0 else 0.0 if at_most > len(tail) else float(tail[at_most - 1])
+                yield doc, float(ratings[0] + step @ tail), over
 
         yield from emit(each(), schema)
 

@@ -168,8 +168,8 @@ def test_quality(spark):
     assert len(got) == 162 and all(got[k].kept == (k < 80) for k in range(160) if got[k].held_out)
     assert all(0 <= r.tail <= 1 and 0 <= r.expected_grade <= 2 for r in got.values())
     assert all(r.kept for r in quality.graded(docs, labels.limit(0)).collect())
-    theta, _ = quality.train(docs, labels)
-    assert theta == sorted(theta) and len(theta) == 2
+    model = quality.train(docs, labels)
+    assert model.theta == sorted(model.theta) and len(model.theta) == 2 and model.ratings == [0, 1, 2]
 
 
 def test_urls(spark):
