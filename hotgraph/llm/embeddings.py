@@ -4,9 +4,11 @@ Cosine at least s means a distance of at most r = sqrt(2 - 2 s) between unit vec
 home is its nearest pivot. Let y have another home than x, and link to x: the triangle inequality gives
 d(y, home of x) <= d(y, home of y) + 2 r, and the plane half-way between the two pivots is at most r from y, which is
 tighter; and d(y, p) is at most r over the largest distance from p of its own members. A vector is sent to each
-lower-numbered cell that these bounds leave open, so a pair meets once. Cells are joined independently, in blocks of at
-most `block` home vectors by `block` members, so a crowded cell is many tasks. A block returns, for each vector, its
-number of links and one link to the least node it reaches there, never all pairs. Equal vectors are one node.
+lower-numbered cell that these bounds leave open, so a pair meets once. Pivots are chosen far apart among a bounded
+sample. Cells are joined independently, in blocks of home vectors by members that `BLOCK_BYTES` sizes, so a crowded cell
+is many tasks. A block returns, for each vector, its number of links and one link to the least node it reaches there,
+never all pairs. Equal vectors are one node. Vectors of 32-bit floats travel as such, which loses nothing; all
+decisions are made in double precision.
 
 Vectors that are null, zero, or hold null or non-finite components link with nothing, and vectors of different lengths
 never link. A null vec_id keeps its row. Repeated vec_ids are rows of their own. Only vec_id and embedding are read.
@@ -28,8 +30,12 @@ from hotgraph.llm.components import components
 
 #: Slack on the bounds, far above the rounding of doubles and far below any distance that matters.
 EPS = 1e-6
-#: Vectors to a pivot, and the most pivots; these are broadcast: at most MOST_PIVOTS vectors.
-PER_PIVOT, MOST_PIVOTS = 4000, 1024
+#: Vectors to a pivot, the most pivots (these are broadcast), and how many vectors they are chosen among, for each pivot.
+PER_PIVOT, MOST_PIVOTS, AMONG = 16384, 1024, 4
+#: Bytes of one side of a block, as doubles, and of a part of its products.
+BLOCK_BYTES, PART = 8 << 20, 1 << 22
+#: Most partitions that blocks are dealt to.
+MOST_TASKS = 20_000
 
 _KEYED = pa.schema([("vec_id", pa.int64()), ("key", pa.binary()), ("dim", pa.int32()), ("v", pa.binary())])
 _CELL = pa.schema([("node", pa.int64()), ("dim", pa.int32()), ("cell", pa.int32()), ("home", pa.bool_()), ("n", pa.int64()), ("v", pa.binary())])
@@ -37,28 +43,51 @@ _FOUND = pa.schema([("node", pa.int64()), ("to", pa.int64()), ("n", pa.int64())]
 
 
 def _keyed(vectors: DataFrame) -> DataFrame:
-    """(vec_id, key, dim, v): v is the vector as doubles and key its digest; null for those that never link."""
+    """(vec_id, key, dim, v): v holds the components as they came and key its digest; null for those that never link."""
+    kind = "float" if dict(vectors.dtypes)["embedding"] == "array<float>" else "double"
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def each() -> Iterator[tuple]:
-            for vec, values in rows(batches):
-                x = np.array([np.nan if c is None else c for c in values or []], "<f8") + 0.0
-                if len(x) and np.isfinite(x).all() and x.any():
-                    raw = x.tobytes()
-                    yield vec, hashlib.blake2b(raw, digest_size=16).digest(), len(x), raw
-                else:
-                    yield vec, None, None, None
+            for batch in batches:
+                ids, lists = batch.column(0).to_pylist(), batch.column(1)
+                values = lists.values.to_numpy(zero_copy_only=False) + np.float32(0)  # null is nan, -0 is 0
+                at, there = lists.offsets.to_numpy(), lists.is_valid().to_numpy(zero_copy_only=False)
+                for k, vec in enumerate(ids):
+                    x = values[at[k] : at[k + 1]]
+                    if there[k] and len(x) and np.isfinite(x).all() and x.any():
+                        raw = x.tobytes()
+                        yield vec, hashlib.blake2b(raw, digest_size=16).digest(), len(x), raw
+                    else:
+                        yield vec, None, None, None
 
         yield from emit(each(), _KEYED, 1024)
 
-    picked = vectors.select(F.col("vec_id").cast("bigint").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
+    picked = vectors.select(F.col("vec_id").cast("bigint").alias("vec_id"), F.col("embedding").cast(f"array<{kind}>").alias("embedding"))
     return picked.mapInArrow(run, "vec_id bigint, key binary, dim int, v binary")
 
 
-def _unit(raw: list[bytes]) -> np.ndarray:
-    x = np.frombuffer(b"".join(raw), "<f8").reshape(len(raw), -1)
-    x = x / np.abs(x).max(1, keepdims=True)  # neither overflow nor underflow in the norm
-    return x / np.linalg.norm(x, axis=1, keepdims=True)
+def _unit(raw: list[bytes], dim: int) -> np.ndarray:
+    x = np.frombuffer(b"".join(raw), f"<f{len(raw[0]) // dim}").reshape(len(raw), dim).astype(float)
+    x /= np.abs(x).max(1, keepdims=True)  # neither overflow nor underflow in the norm
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    return x
+
+
+def _pivots(nodes: DataFrame, want: int) -> dict[int, list[bytes]]:
+    """`want` vectors by their length, chosen far apart among a sample: each is the farthest from those before it."""
+    sample: dict[int, list[bytes]] = {}
+    few = nodes.orderBy("key").select("dim", "v").limit(want * AMONG).collect()  # at most MOST_PIVOTS * AMONG vectors
+    for row in few:
+        sample.setdefault(row.dim, []).append(bytes(row.v))
+    out = {}
+    for dim, raw in sample.items():
+        x = _unit(raw, dim)
+        near, picked = np.full(len(x), 9.0), [0]
+        for _ in range(round(want * len(x) / len(few)) - 1):
+            near = np.minimum(near, _distances(x, x[picked[-1:]])[:, 0])
+            picked.append(int(near.argmax()))
+        out[dim] = [raw[k] for k in picked]
+    return out
 
 
 def _distances(x: np.ndarray, p: np.ndarray) -> np.ndarray:
@@ -71,7 +100,7 @@ def _route(nodes: DataFrame, pivots: dict[int, list[bytes]], reach: dict[tuple[i
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         raw, far = held.value
-        p = {dim: _unit(v) for dim, v in raw.items()}
+        p = {dim: _unit(v, dim) for dim, v in raw.items()}
 
         def each() -> Iterator[tuple]:
             for batch in batches:
@@ -82,7 +111,7 @@ def _route(nodes: DataFrame, pivots: dict[int, list[bytes]], reach: dict[tuple[i
                     if dim not in p:  # too rare for a pivot: one cell, cut into blocks like any other
                         yield from ((node, dim, 0, True, n, v if far is not None else np.float64(2).tobytes()) for node, n, v in some)
                         continue
-                    d = _distances(_unit([v for _, _, v in some]), p[dim])
+                    d = _distances(_unit([v for _, _, v in some], dim), p[dim])
                     home = d.argmin(1)
                     own = d[np.arange(len(some)), home]
                     if far is None:
@@ -102,74 +131,89 @@ def _route(nodes: DataFrame, pivots: dict[int, list[bytes]], reach: dict[tuple[i
 
 
 def _block(ids: list[np.ndarray], unit: list[np.ndarray], own: np.ndarray, sizes: list[np.ndarray], least: float) -> Iterator[tuple]:
-    """Links between the home vectors (0) and the members (1) of one block. own: members that are at home here."""
-    near = unit[0].astype(np.float32) @ unit[1].T.astype(np.float32) >= least - 1e-4
-    a, b = np.nonzero(near)
-    differ = ids[0][a] != ids[1][b]
-    a, b = a[differ], b[differ]
-    good = np.empty(len(a), bool)
-    for at in range(0, len(a), 1 << 16):
-        part = slice(at, at + (1 << 16))
-        good[part] = np.einsum("ij,ij->i", unit[0][a[part]], unit[1][b[part]]) >= least
-    a, b = a[good], b[good]
-    if not len(a):
-        return
-    n0 = np.bincount(a, weights=sizes[1][b], minlength=len(ids[0])).astype(np.int64)
-    n1 = np.bincount(b, weights=sizes[0][a], minlength=len(ids[1])).astype(np.int64)
-    lab0, lab1 = ids[0].copy(), ids[1].copy()
+    """Links between the home vectors (0) and the members (1) of one block. own: members that are at home here.
+
+    Products come in parts; of each only sums and the classes it joins are kept.
+    """
+    every, at = np.unique(np.concatenate(ids), return_inverse=True)
+    at0, at1 = at[: len(ids[0])], at[len(ids[0]) :]
+    root, n0, n1 = np.arange(len(every)), np.zeros(len(ids[0])), np.zeros(len(ids[1]))
+    single, slack = unit[1].T.astype(np.float32), 1e-4 + 2e-7 * unit[0].shape[1]
+    step = max(1, PART // len(ids[1]))
+    for first in range(0, len(ids[0]), step):
+        cos = unit[0][first : first + step].astype(np.float32) @ single
+        a, b = np.nonzero(cos >= least - slack)
+        cos = cos[a, b]
+        a += first
+        good = cos >= least + slack
+        close = np.flatnonzero(~good)  # too near the bound for single precision
+        for k in range(0, len(close), 1 << 16):
+            some = close[k : k + (1 << 16)]
+            good[some] = np.einsum("ij,ij->i", unit[0][a[some]], unit[1][b[some]]) >= least
+        good &= at0[a] != at1[b]
+        a, b = a[good], b[good]
+        n0 += np.bincount(a, weights=sizes[1][b], minlength=len(n0))
+        n1 += np.bincount(b, weights=sizes[0][a], minlength=len(n1))
+        _join(root, at0[a], at1[b])
+    to = every[root]
+    yield from ((int(x), int(t), int(n)) for x, t, n in zip(ids[0], to[at0], n0, strict=True) if n)
+    yield from ((int(x), int(t), 0 if o else int(n)) for x, t, n, o in zip(ids[1], to[at1], n1, own, strict=True) if n and not (o and x == t))
+
+
+def _join(root: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
+    """root (the least member of each one's class) after the links a - b."""
     while True:
-        new0, new1 = lab0.copy(), lab1.copy()
-        np.minimum.at(new0, a, lab1[b])
-        np.minimum.at(new1, b, new0[a])
-        if (new0 == lab0).all() and (new1 == lab1).all():
-            break
-        lab0, lab1 = new0, new1
-    yield from ((int(x), int(t), int(n)) for x, t, n in zip(ids[0], lab0, n0, strict=True) if n)
-    yield from ((int(x), int(t), 0 if o else int(n)) for x, t, n, o in zip(ids[1], lab1, n1, own, strict=True) if n and not (o and x == t))
+        x, y = root[a], root[b]
+        apart = x != y
+        if not apart.any():
+            return
+        a, b, x, y = a[apart], b[apart], x[apart], y[apart]
+        np.minimum.at(root, np.maximum(x, y), np.minimum(x, y))
+        while (root[root] != root).any():
+            root[:] = root[root]
 
 
-def links(nodes: DataFrame, least: float, block: int = 2048) -> DataFrame:
+def links(nodes: DataFrame, least: float, block: int | None = None) -> DataFrame:
     """(node, to, n): partial numbers of linked vectors, and a node reached, from each block. nodes: node, dim, n, v."""
     prepare(nodes.sparkSession)
     r = float(np.sqrt(2 - 2 * least))
     count = nodes.count()
     want = min(MOST_PIVOTS, max(1, count // PER_PIVOT))
-    pivots: dict[int, list[bytes]] = {}
-    for row in nodes.orderBy("key").select("dim", "v").limit(want).collect():
-        pivots.setdefault(row.dim, []).append(bytes(row.v))
+    pivots = _pivots(nodes, want)
     far = _farthest(_route(nodes, pivots, None, r))
     cells = settle(_route(nodes, pivots, far, r), "cells")
-    size = (
-        cells.groupBy("dim", "cell").agg(F.count("*").alias("m"), F.sum(F.col("home").cast("bigint")).alias("h"))
-        .select("dim", "cell", F.ceil(F.col("h") / block).alias("ph"), F.ceil(F.col("m") / block).alias("pm"))
-    )  # one row a cell, at most MOST_PIVOTS and one for each rare length
-    cells = cells.join(F.broadcast(size), ["dim", "cell"])
+    rows_of = F.lit(block) if block else F.greatest(F.lit(64), F.floor(F.lit(BLOCK_BYTES) / (8 * F.col("dim"))))
+    sizes = cells.groupBy("dim", "cell").agg(F.count("*").alias("m"), F.sum(F.col("home").cast("bigint")).alias("h"))
+    size = settle(sizes.select("dim", "cell", F.ceil(F.col("h") / rows_of).alias("ph"), F.ceil(F.col("m") / rows_of).alias("pm")), "blocks")
+    tasks = size.agg(F.sum(F.col("ph") * F.col("pm"))).first()[0] or 1
+    tasks = min(MOST_TASKS, max(int(tasks), int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    cells = cells.join(size, ["dim", "cell"])
     some = lambda n: F.sequence(F.lit(0).cast("bigint"), n - 1)
     pick = lambda n: F.pmod(F.xxhash64("node"), n)
     as_home = cells.where("home").select("dim", "cell", pick(F.col("ph")).alias("i"), F.explode(some(F.col("pm"))).alias("j"), F.lit(0).alias("side"), "node", "home", "n", "v")
     as_member = cells.where("ph > 0").select("dim", "cell", F.explode(some(F.col("ph"))).alias("i"), pick(F.col("pm")).alias("j"), F.lit(1).alias("side"), "node", "home", "n", "v")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def done(held: list[list[tuple]]) -> Iterator[tuple]:
+        def done(dim: int, held: list[list[tuple]]) -> Iterator[tuple]:
             if held[0] and held[1]:
                 ids = [np.array([x[0] for x in h], np.int64) for h in held]
                 sizes = [np.array([x[2] for x in h], np.float64) for h in held]
-                unit = [_unit([x[3] for x in h]) for h in held]
+                unit = [_unit([x[3] for x in h], dim) for h in held]
                 yield from _block(ids, unit, np.array([x[1] for x in held[1]], bool), sizes, least)
 
         def each() -> Iterator[tuple]:
-            last, held = None, [[], []]
+            last, held = (0,), [[], []]
             for dim, cell, i, j, side, *row in rows(batches):
                 if (dim, cell, i, j) != last:
-                    yield from done(held)
+                    yield from done(last[0], held)
                     last, held = (dim, cell, i, j), [[], []]
                 held[side].append(row)
-            yield from done(held)
+            yield from done(last[0], held)
 
         yield from emit(each(), _FOUND)
 
     by = ["dim", "cell", "i", "j"]
-    dealt = as_home.unionByName(as_member).repartition(*by).sortWithinPartitions(*by, "side", "node")
+    dealt = as_home.unionByName(as_member).repartition(tasks, *by).sortWithinPartitions(*by, "side", "node")
     return dealt.select(*by, "side", "node", "home", "n", "v").mapInArrow(run, "node bigint, to bigint, n bigint")
 
 
@@ -186,7 +230,7 @@ def _farthest(at_home: DataFrame) -> dict[tuple[int, int], float]:
     return {(r.dim, r.cell): r.x for r in parts.groupBy("dim", "cell").agg(F.max("x").alias("x")).collect()}
 
 
-def near_duplicates(vectors: DataFrame, least: float = 0.9, block: int = 2048) -> DataFrame:
+def near_duplicates(vectors: DataFrame, least: float = 0.9, block: int | None = None) -> DataFrame:
     """vec_id, n_links, component_id, kept for each row of vectors(vec_id, embedding)."""
     prepare(vectors.sparkSession)
     keyed = settle(_keyed(vectors), "vectors")

@@ -287,17 +287,44 @@ def test_embeddings(spark):
                 if at not in up:
                     up[at] = k
                     todo += near[at]
-    for block in (2048, 7):
-        embeddings.PER_PIVOT = 40
+    for block, embeddings.PER_PIVOT in ((None, 40), (50, 80), (60, 16384)):
         got = {r.vec_id: r for r in embeddings.near_duplicates(df, 0.9, block).collect()}
         assert {k: (r.n_links, r.component_id, r.kept) for k, r in got.items()} == {k: (len(near[k]), up[k], k == up[k]) for k in rows}
-    embeddings.PER_PIVOT = 4000
+    embeddings.PER_PIVOT = 16384
     assert embeddings.near_duplicates(df.limit(0)).count() == 0
     nulls = spark.createDataFrame([(None, [1.0, 0.0]), (None, [1.0, 0.0]), (4, [1.0, 0.1])], "vec_id bigint, embedding array<double>")
     got = sorted((tuple(r) for r in embeddings.near_duplicates(nulls).collect()), key=repr)
     assert [r[1] for r in got] == [2, 2, 2] and {r[2] for r in got} == {4}
 
 
+@pytest.mark.parametrize("part", [7, 1 << 22])
+def test_embedding_block(part, monkeypatch):
+    """Sums and classes of one block against all pairs, whatever part of the products is made at once."""
+    import numpy as np
+
+    monkeypatch.setattr(embeddings, "PART", part)
+    rng = np.random.default_rng(4)
+    base = rng.normal(size=(6, 8))[rng.integers(0, 6, 50)] + rng.normal(size=(50, 8)) * 0.2
+    x = embeddings._unit([v.tobytes() for v in base], 8)
+    ids, sizes = [np.arange(30), np.arange(10, 50)], [np.arange(30) % 3 + 1.0, np.arange(10, 50) % 3 + 1.0]
+    own = np.arange(10, 50) < 30
+    near = x @ x.T >= 0.9
+    up = {k: {k} for k in range(50)}
+    for a in range(30):
+        for b in range(10, 50):
+            if a != b and near[a, b] and up[a] is not up[b]:
+                up[a] |= up[b]
+                for k in up[a]:
+                    up[k] = up[a]
+    n = dict.fromkeys(range(50), 0)
+    for node, to, m in embeddings._block(ids, [x[ids[0]], x[ids[1]]], own, sizes, 0.9):
+        assert to == min(up[node])
+        n[node] += m
+    want = {a: sum(b % 3 + 1 for b in range(10, 50) if a != b and near[a, b]) for a in range(30)}
+    want |= {b: sum(a % 3 + 1 for a in range(30) if near[a, b]) for b in range(30, 50)}
+    assert n == want
+
+
 def test_components(spark):
     links = [(k, k + 1) for k in range(1, 40)] + [(100, 101), (102, 101), (7, 7)]
     got = {r.node: r.root for r in components(spark.createDataFrame(links, "a bigint, b bigint")).collect()}
