@@ -30,33 +30,61 @@ from hotgraph.llm.licensetexts import FULL_TEXTS
 
 THRESHOLD = 0.8
 
-#: Short notices and the standard headers of common licences, by SPDX identifier.
-TEMPLATES = {
+#: Forms of a short notice, and the names that licences go by in one.
+_NOTICES = ("Licensed under {}.", "Released under {}.", "This work is licensed under {}.", "This project is licensed under {}.")
+_NAMED = {
+    "MIT": "the MIT License",
+    "Apache-2.0": "the Apache License, Version 2.0",
+    "GPL-2.0": "the GNU General Public License, version 2", "GPL-3.0": "the GNU General Public License, version 3",
+    "LGPL-2.1": "the GNU Lesser General Public License, version 2.1", "LGPL-3.0": "the GNU Lesser General Public License, version 3",
+    "AGPL-3.0": "the GNU Affero General Public License, version 3",
+    "BSD-2-Clause": "the BSD 2-Clause License", "BSD-3-Clause": "the BSD 3-Clause License", "LicenseRef-BSD": "the BSD License",
+    "MPL-2.0": "the Mozilla Public License, Version 2.0", "EPL-2.0": "the Eclipse Public License, Version 2.0", "ISC": "the ISC License",
+    "CC0-1.0": "CC0 1.0", "CC-BY-4.0": "CC BY 4.0", "CC-BY-SA-4.0": "CC BY-SA 4.0", "CC-BY-NC-4.0": "CC BY-NC 4.0", "CC-BY-ND-4.0": "CC BY-ND 4.0",
+}
+#: Standard headers and short texts.
+_FREE = (
+    "This program is free software: you can redistribute it and/or modify it under the terms of the GNU {}General Public License "
+    "as published by the Free Software Foundation, either version {} of the License, or (at your option) any later version."
+)
+_HEADERS = {
     "MIT": (
-        "Released under the MIT License.", "Licensed under the MIT License.", "This project is licensed under the MIT License.",
         "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the Software), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:",
     ),
     "Apache-2.0": (
-        "Licensed under the Apache License, Version 2.0.", "Released under the Apache License, Version 2.0.", "This work is licensed under the Apache License, Version 2.0.",
         "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0",
     ),
-    "GPL": (
-        "This work is licensed under the GNU General Public License, version 3.", "Licensed under the GNU General Public License, version 3.", "Released under the GNU General Public License, version 2.",
-        "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
+    "GPL-2.0": (_FREE.format("", 2),), "GPL-3.0": (_FREE.format("", 3),), "LGPL-2.1": (_FREE.format("Lesser ", 2.1),), "LGPL-3.0": (_FREE.format("Lesser ", 3),),
+    "AGPL-3.0": (_FREE.format("Affero ", 3),),
+    "LicenseRef-BSD": ("Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:",),
+    "MPL-2.0": ("This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",),
+    "CC-BY-4.0": ("This work is licensed under a Creative Commons Attribution 4.0 International License.",),
+    "CC-BY-SA-4.0": ("This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License.",),
+    "CC-BY-NC-4.0": ("This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License.",),
+    "CC-BY-ND-4.0": ("This work is licensed under a Creative Commons Attribution-NoDerivatives 4.0 International License.",),
+    "CC0-1.0": ("To the extent possible under law, the author has waived all copyright and related rights to this work.",),
+    "ISC": (
+        "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
+        "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies. THE SOFTWARE IS PROVIDED AS IS AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.",
     ),
-    "LGPL": ("Licensed under the GNU Lesser General Public License, version 3.", "This library is licensed under the GNU Lesser General Public License, version 2.1."),
-    "BSD": (
-        "Released under the BSD License.", "Licensed under the BSD 3-Clause License.",
-        "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:",
+    "Unlicense": (
+        "This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means.",
     ),
-    "MPL-2.0": ("This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.", "Licensed under the Mozilla Public License, Version 2.0."),
-    "CC-BY": ("Licensed under CC BY 4.0.", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
-    "CC-BY-SA": ("Licensed under CC BY-SA 4.0.", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
-    "CC-BY-NC": ("Licensed under CC BY-NC 4.0.", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
-    "CC0": ("Released under CC0 1.0.", "To the extent possible under law, the author has waived all copyright and related rights to this work."),
-    "all-rights-reserved": ("All rights reserved.",),
+    "LicenseRef-all-rights-reserved": ("All rights reserved.",),
+}
+#: Which of the whole texts is which.
+_WHOLE = {
+    "MIT": ("MIT",), "Apache-2.0": ("Apache-2.0",), "GPL": ("GPL-1.0", "GPL-2.0", "GPL-3.0"), "LGPL": ("LGPL-2.0", "LGPL-2.1", "LGPL-3.0"),
+    "BSD": ("BSD-3-Clause", "BSD-2-Clause"), "MPL-2.0": ("MPL-2.0",), "CC0": ("CC0-1.0",),
 }
 
+#: Templates by SPDX identifier, with a LicenseRef where SPDX has none: whole texts, and notices and headers.
+WHOLE = {name: (text,) for family, names in _WHOLE.items() for name, text in zip(names, FULL_TEXTS[family], strict=True)}
+TEMPLATES = {
+    name: (*_HEADERS.get(name, ()), *(f.format(_NAMED[name]) for f in _NOTICES if name in _NAMED))
+    for name in dict.fromkeys([*_NAMED, *_HEADERS, *WHOLE])
+}
+
 SCHEMA = "doc_id bigint, found array<struct<license: string, line: int, dice: double>>"
 _ARROW = pa.schema([
     ("doc_id", pa.int64()),
@@ -83,7 +111,7 @@ class Templates:
 
     def __init__(self, threshold: float) -> None:
         self.threshold = threshold
-        self.all = [(name, bigrams(t)) for name, texts in TEMPLATES.items() for t in (*texts, *FULL_TEXTS.get(name, ()))]
+        self.all = [(name, bigrams(t)) for name, texts in TEMPLATES.items() for t in (*texts, *WHOLE.get(name, ()))]
         self.by: dict[tuple, list[int]] = defaultdict(list)
         for k, (_, b) in enumerate(self.all):
             for g in b:

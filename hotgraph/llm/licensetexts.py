@@ -1,4 +1,4 @@
-"""Whole texts of licences, as templates for the licence scan: fixed values, by the identifiers of licenses.TEMPLATES."""
+"""Whole texts of licences, as templates for the licence scan: fixed values, by family."""
 
 # ruff: noqa: E501
 FULL_TEXTS = {

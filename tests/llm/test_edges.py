@@ -132,7 +132,7 @@ def test_bk_tree():
 def test_licenses(spark):
     texts = [*TEXTS, "some words\nReleased under the MIT License.\nmore words", "All rights reserved.", "Licensed under CC BY-NC 3.0.", "license"]
     got = by_id(licenses.digest(licenses.licenses(frame(spark, texts))))
-    assert [got[k].licenses for k in (8, 9, 10, 11)] == ["MIT", "all-rights-reserved", "CC-BY-NC", ""]
+    assert [got[k].licenses for k in (8, 9, 10, 11)] == ["MIT", "LicenseRef-all-rights-reserved", "CC-BY-NC-4.0", ""]
     assert got[0].n_found == 0 and got[6].n_found == 0
     t = licenses.Templates(0.8)
     for unit in ("Released under the MIT License, as is", "This work is licensed under the GNU General Public License, version 2."):
