@@ -6,10 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from hotgraph.storage import on_release
+
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 _memo: dict[tuple, object] = {}
+on_release(_memo.clear)
 
 
 def key(name: str, sql: str | None = None) -> Callable[[Query], Query]:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -11,10 +11,12 @@ from pyspark.sql import functions as F
 
 from hotgraph.operators.stats import out_degrees
 from hotgraph.sources.graphs import ends
-from hotgraph.storage import pin, prepare
+from hotgraph.storage import pin, prepare, settle
 
-#: Links up to which all rounds run in one task; about 24 bytes each there. Counted before it is used.
+#: Links, and vertices, up to which all rounds run in one task; about 24 bytes each there. Counted before it is used.
 LOCAL_LINKS = 5_000_000
+#: Out-links of one vertex up to which they are kept in one partition.
+HUB_LINKS = 1_000_000
 #: Rounds between lineage cuts of the distributed loop.
 CUT_EVERY = 5
 
@@ -34,14 +36,15 @@ def weighted(edges: DataFrame, weight: str | None = None) -> DataFrame:
 def power_loop(
     links: DataFrame, vertices: DataFrame, *, beta: float = 0.85, iterations: int = 30, start: DataFrame | None = None,
     inflow: DataFrame | None = None, restart: DataFrame | None = None, tol: float | None = None, norm: str = "l1",
-    dangling: str = "none", init: float = 1.0, kernel: str = "distributed",
+    dangling: str = "none", init: float = 1.0, kernel: str = "distributed", local_links: int | None = None, hub_links: int | None = None,
 ) -> DataFrame:
     """(id, score) after rounds of: score = (1 - beta) * restart + beta * (what links bring + inflow).
 
     links (src, dst, weight) are the shares; start (id, score) the first values, `init` where it has none; inflow
     (dst, inflow) what comes from outside in every round; restart (id, share) replaces the even restart of 1. dangling:
     none lets what sinks hold go nowhere, redistribute spreads it evenly. tol ends the rounds once the change by `norm`
-    (l1, linf) is at most that. kernel: distributed, local (one task), auto (local if the links are few).
+    (l1, linf) is at most that. kernel: distributed, local (one task), auto (local if links and vertices are at most
+    `local_links` each, both counted).
     """
     if not 0 <= beta <= 1 or iterations < 0 or dangling not in ("none", "redistribute") or norm not in ("l1", "linf"):
         raise ValueError("beta lies in 0..1, iterations is 0 or more, dangling none or redistribute, norm l1 or linf")
@@ -58,23 +61,53 @@ def power_loop(
         base = base.join(start.select("id", F.col("score").alias("held")), "id", "left")
         first = F.coalesce("held", first)
     base = base.select("id", fixed.alias("fixed"), first.cast("double").alias("score"))
+    if kernel != "local":
+        links = settle(links.select("src", "dst", "weight"), "links")
     if kernel == "auto":
-        kernel = "local" if links.limit(LOCAL_LINKS + 1).count() <= LOCAL_LINKS else "distributed"
+        kernel = "local" if fits(LOCAL_LINKS if local_links is None else local_links, links, vertices) else "distributed"
     if kernel == "local":
         return _local(links, base, beta, iterations, tol, norm, dangling)
-    return _distributed(links, base, beta, iterations, tol, norm, dangling)
+    return _distributed(links, base, beta, iterations, tol, norm, dangling, hub_links)
+
+
+def fits(rows: int, *frames: DataFrame) -> bool:
+    """Whether each frame has at most so many rows."""
+    return all(df.limit(rows + 1).count() <= rows for df in frames)
+
+
+def deal(links: DataFrame, hub_links: int | None = None) -> Callable[[DataFrame], DataFrame]:
+    """Function that gives links(src, dst, ..), which are written, the columns of values(id, ..) at their source.
+
+    Links are pinned by source, so that values pinned by id meet them without a shuffle. Those of a source with over
+    hub_links of them would be one partition, so they are pinned by target instead, and the few values of such sources
+    (at most the number of links over hub_links) are sent to all tasks.
+    """
+    limit = HUB_LINKS if hub_links is None else hub_links
+    hubs = None
+    if not fits(limit, links):
+        hubs = settle(links.groupBy("src").agg(F.count("*").alias("n")).where(F.col("n") > limit).select("src"), "hubs")
+    if hubs is None or hubs.isEmpty():
+        whole = pin(links, "src")
+        return lambda values: whole.join(values, F.col("src") == F.col("id"))
+    usual, heavy = pin(links.join(hubs, "src", "left_anti"), "src"), pin(links.join(hubs, "src", "left_semi"), "dst")
+
+    def met(values: DataFrame) -> DataFrame:
+        few = values.join(hubs, F.col("id") == F.col("src"), "left_semi")
+        return usual.join(values, F.col("src") == F.col("id")).unionByName(heavy.join(F.broadcast(few), F.col("src") == F.col("id")))
+
+    return met
 
 
 def _distributed(
-    links: DataFrame, base: DataFrame, beta: float, iterations: int, tol: float | None, norm: str, dangling: str
+    links: DataFrame, base: DataFrame, beta: float, iterations: int, tol: float | None, norm: str, dangling: str, hub_links: int | None
 ) -> DataFrame:
-    links, base = pin(links.select("src", "dst", "weight"), "src"), pin(base, "id")
+    met_with, base = deal(links, hub_links), pin(base, "id")
     fixed, scores = base.select("id", "fixed"), base.select("id", "score")
     if dangling == "redistribute":
         sinks = pin(fixed.select("id").join(links.select(F.col("src").alias("id")), "id", "left_anti"), "id")
         n = fixed.count()
     for k in range(iterations):
-        sent = links.join(scores, F.col("src") == F.col("id")).groupBy("dst").agg(F.sum(F.col("score") * F.col("weight")).alias("got"))
+        sent = met_with(scores).groupBy("dst").agg(F.sum(F.col("score") * F.col("weight")).alias("got"))
         value = F.col("fixed") + beta * F.coalesce("got", F.lit(0.0))
         met = fixed.join(sent.withColumnRenamed("dst", "id"), "id", "left")
         if dangling == "redistribute":
@@ -135,13 +168,13 @@ def _local(
 def rank_exact(
     edges: DataFrame, beta: float = 0.85, iterations: int = 30, *, vertices: DataFrame | None = None, warm: DataFrame | None = None,
     tol: float | None = None, norm: str = "l1", dangling: str = "none", normalize: bool = False, init: float = 1.0,
-    weight_col: str | None = None, kernel: str = "distributed",
+    weight_col: str | None = None, kernel: str = "distributed", local_links: int | None = None,
 ) -> DataFrame:
     """(id, score): every vertex sends its score over its out-degree along each edge. Scores average about 1."""
     v = ends(edges) if vertices is None else vertices
     scores = power_loop(
         weighted(edges, weight_col), v, beta=beta, iterations=iterations, start=warm, tol=tol, norm=norm, dangling=dangling,
-        init=init, kernel=kernel,
+        init=init, kernel=kernel, local_links=local_links,
     )
     if not normalize:
         return scores

@@ -9,10 +9,11 @@ from itertools import count
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from hotgraph.operators.iterate import CUT_EVERY
+from hotgraph.operators.components import components
+from hotgraph.operators.iterate import CUT_EVERY, deal
 from hotgraph.operators.stats import out_degrees
 from hotgraph.sources.graphs import ends
-from hotgraph.storage import pin
+from hotgraph.storage import pin, settle
 
 
 @dataclass(frozen=True)
@@ -38,9 +39,9 @@ def run(program: VertexProgram, edges: DataFrame, iterations: int | None, style:
     known = (ends(edges) if vertices is None else vertices).join(out_degrees(edges), "id", "left")
     known = known.select("id", F.coalesce("out_deg", F.lit(0)).alias("out_deg"))
     values = pin(known.select("id", "out_deg", program.init().alias("value")), "id")
-    links, known_values = pin(edges.select("src", "dst"), "src"), None
+    met_with, known_values = deal(settle(edges.select("src", "dst"), "links")), None
     for k in count() if iterations is None else range(iterations):
-        sent = links.join(values.where("value is not null"), F.col("src") == F.col("id")).select("dst", program.message().alias("message"))
+        sent = met_with(values.where("value is not null")).select("dst", program.message().alias("message"))
         got = sent.where("message is not null").groupBy(F.col("dst").alias("id")).agg(program.combine(F.col("message")).alias("got"))
         values = values.join(got, "id", "left").select("id", "out_deg", program.apply().alias("value"))
         if program.after is not None:
@@ -97,9 +98,9 @@ def label_communities(edges: DataFrame, iterations: int) -> DataFrame:
     Its combine step is a mode over counts: labels are counted in tasks before the shuffle, so hubs stay small.
     """
     values = pin(ends(edges).select("id", F.col("id").alias("value")), "id")
-    links = pin(edges.select("src", "dst"), "src")
+    met_with = deal(settle(edges.select("src", "dst"), "links"))
     for k in range(iterations):
-        votes = links.join(values, F.col("src") == F.col("id")).groupBy("dst", "value").agg(F.count("*").alias("n"))
+        votes = met_with(values).groupBy("dst", "value").agg(F.count("*").alias("n"))
         won = votes.groupBy(F.col("dst").alias("id")).agg(F.max_by("value", F.struct("n", -F.col("value"))).alias("got"))
         values = values.join(won, "id", "left").select("id", F.coalesce("got", "value").alias("value"))
         if (k + 1) % CUT_EVERY == 0 and k + 1 < iterations:
@@ -107,19 +108,8 @@ def label_communities(edges: DataFrame, iterations: int) -> DataFrame:
     return values
 
 
-def connected(edges: DataFrame, most: int = 50) -> DataFrame:
-    """(id, component): smallest id of each weakly connected component, by rounds until nothing changes."""
-    from hotgraph.sources.graphs import symmetric
-
-    links = pin(symmetric(edges), "src")
-    values = pin(ends(edges).select("id", F.col("id").alias("component")), "id")
-    for _ in range(most):
-        got = links.join(values, F.col("src") == F.col("id")).groupBy("dst").agg(F.min("component").alias("got"))
-        new = values.join(got.withColumnRenamed("dst", "id"), "id", "left").select(
-            "id", F.least("component", "got").alias("component"), (F.col("got") < F.col("component")).alias("moved")
-        )
-        new = new.checkpoint(eager=True)
-        values = new.select("id", "component")
-        if new.where("moved").isEmpty():
-            return values
-    raise ValueError(f"not settled after {most} rounds")
+def connected(edges: DataFrame) -> DataFrame:
+    """(id, component): smallest id of each weakly connected component, in rounds that grow with the logarithm of its diameter."""
+    named = components(edges.select(F.col("src").alias("a"), F.col("dst").alias("b")))
+    alone = edges.where("src = dst").select(F.col("src").alias("id")).distinct().join(named.select(F.col("node").alias("id")), "id", "left_anti")
+    return named.select(F.col("node").alias("id"), F.col("root").alias("component")).unionByName(alone.select("id", F.col("id").alias("component")))

@@ -42,22 +42,18 @@ def expand_hops(edges: DataFrame, seeds: DataFrame, n: int, direction: str = "ou
     """(id, hop) of the vertices 1..n hops from any seed, without the seeds.
 
     Each round joins the last ring only, drops what has been visited, and ends early once a ring is empty. Rings are
-    written, so the planner knows their sizes and broadcasts them when they are small.
+    written, so the planner knows their sizes and broadcasts them when they are small; what has been visited is one
+    frame of them all.
     """
-    visited = settle(seeds.select("id", F.lit(0).alias("hop")).distinct(), "seeds")
-    ring, rings, hops = visited, [], _directed(edges, direction)
+    ring = visited = settle(seeds.select("id", F.lit(0).alias("hop")).distinct(), "seeds")
+    hops = _directed(edges, direction)
     for h in range(1, n + 1):
         reached = hops.join(ring.select(F.col("id").alias("src")), "src", "left_semi").select(F.col("dst").alias("id")).distinct()
-        for seen in (visited, *rings):
-            reached = reached.join(seen.select("id"), "id", "left_anti")
-        ring = settle(reached.select("id", F.lit(h).alias("hop")), f"ring{h}")
+        ring = settle(reached.join(visited.select("id"), "id", "left_anti").select("id", F.lit(h).alias("hop")), f"ring{h}")
         if ring.isEmpty():
             break
-        rings.append(ring)
-    out = visited.limit(0)
-    for x in rings:
-        out = out.union(x)
-    return out
+        visited = visited.union(ring)
+    return visited.where("hop > 0")
 
 
 def expand_by_influence(
@@ -148,7 +144,7 @@ def select_hot(
     change = degree_change(before, now, p.degree) if change is None else change
     if kernel == "local" and covers(p):
         return select_hot_local(now, change, signal(scores, previous_scores, p), p)
-    seeds = settle(select_changed(change, p.r), "seeds")
+    seeds = settle(select_changed(change, p.r, p.zero_policy), "seeds")
     ring = expand_hops(now, seeds, p.n, p.direction)
     core = seeds.select("id", "reason", F.lit(0).alias("hop")).union(ring.select("id", F.lit("ring"), "hop"))
     if p.delta is None:

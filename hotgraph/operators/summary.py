@@ -68,7 +68,7 @@ def summary_ratio(summary: Summary, edges: DataFrame) -> DataFrame:
 
 def rank_approximate(
     summary: Summary, previous: DataFrame, vertices: DataFrame, *, beta: float = 0.85, iterations: int = 30, warm: bool = True,
-    kernel: str = "distributed",
+    kernel: str = "distributed", local_links: int | None = None,
 ) -> DataFrame:
     """(id, score, is_hot): the loop over the summary, what comes from outside held constant; all others keep their score.
 
@@ -76,6 +76,7 @@ def rank_approximate(
     the previous scores; one of all vertices gives the exact loop.
     """
     hot = power_loop(
-        summary.inner, summary.hot, beta=beta, iterations=iterations, inflow=summary.inflow, start=previous if warm else None, kernel=kernel
+        summary.inner, summary.hot, beta=beta, iterations=iterations, inflow=summary.inflow, start=previous if warm else None, kernel=kernel,
+        local_links=local_links,
     )
     return merge_scores(vertices, hot, previous, 1 - beta)

@@ -49,6 +49,7 @@ class Params:
     signal: str = "score"  # score, score_change
     anchor: str = "seeds+ring"  # ring, seeds+ring
     mean_degree: str = "graph"  # graph, touched
+    zero_policy: str = "include"  # include, exclude: vertices whose degree was 0
     max_hops: int | None = None  # None: the influence ring ends by itself
     warm: bool = True
     allow_all: bool = False
@@ -58,6 +59,7 @@ class Params:
             "degree": ("out", "in", "total"), "direction": ("out", "in", "both"),
             "mode": ("candidate", "anchor", "path_product"), "threshold": ("absolute", "relative"),
             "signal": ("score", "score_change"), "anchor": ("ring", "seeds+ring"), "mean_degree": ("graph", "touched"),
+            "zero_policy": ("include", "exclude"),
         }
         for name, allowed in choices.items():
             if getattr(self, name) not in allowed:

@@ -5,11 +5,13 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
 _ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
 _written: list[str] = []
+_on_release: list[Callable[[], None]] = []
 
 #: Rows up to which a frame that has been counted may be broadcast (two or three longs a row).
 BROADCAST_ROWS = 5_000_000
@@ -24,9 +26,11 @@ def prepare(spark: SparkSession) -> None:
 
 
 def shared_root(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session; a temporary folder only where it is unset, as in tests."""
+    """spark.checkpoint.dir of the session; a temporary folder only where it is unset and the master is local."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         root = tempfile.mkdtemp(prefix="hotgraph-")
         spark.conf.set("spark.checkpoint.dir", root)
     if spark.sparkContext.getCheckpointDir() is None:
@@ -40,7 +44,28 @@ def settle(df: DataFrame, name: str) -> DataFrame:
     path = f"{shared_root(spark)}/hotgraph/{uuid.uuid4().hex}-{name}"
     df.write.parquet(path)
     _written.append(path)
-    return spark.read.schema(df.schema).parquet(path)
+    held = spark.read.schema(df.schema).parquet(path)
+    held._settled = path
+    return held
+
+
+def discard(*frames: DataFrame | None) -> None:
+    """Delete tables that settle() wrote, whose last reader is done; other frames are left alone."""
+    for df in frames:
+        path = getattr(df, "_settled", None)
+        if path in _written:
+            _written.remove(path)
+            _delete(df.sparkSession, path)
+
+
+def on_release(forget: Callable[[], None]) -> None:
+    """Have release() call this too: for whoever keeps frames that read settled tables."""
+    _on_release.append(forget)
+
+
+def _delete(spark: SparkSession, path: str) -> bool:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return bool(at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True))
 
 
 def pin(df: DataFrame, *keys: str) -> DataFrame:
@@ -56,10 +81,11 @@ def pin(df: DataFrame, *keys: str) -> DataFrame:
 
 def release(spark: SparkSession) -> int:
     """Delete what settle() wrote in this process; call it when the results that read it are written."""
-    jvm, conf, done = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration(), 0
+    done = 0
     while _written:
-        path = jvm.org.apache.hadoop.fs.Path(_written.pop())
-        done += bool(path.getFileSystem(conf).delete(path, True))
+        done += _delete(spark, _written.pop())
+    for forget in _on_release:
+        forget()
     return done
 
 
