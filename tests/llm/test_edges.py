@@ -9,7 +9,7 @@ import pytest
 pytest.importorskip("hotgraph.llm")
 
 from hotgraph.llm import decontaminate, embeddings, licenses, linededup, packing, quality, secretscan, simhash, toxicity, urlfilter  # noqa: E402
-from hotgraph.llm.components import components  # noqa: E402
+from hotgraph.operators.components import components  # noqa: E402
 from hotgraph.llm.queries import tokenizer_path  # noqa: E402
 
 #: Columns that operators use inside, to clash with.
