@@ -58,7 +58,7 @@ def expand_hops(edges: DataFrame, seeds: DataFrame, n: int, direction: str = "ou
 
 def expand_by_influence(
     edges: DataFrame, anchors: DataFrame, inside: DataFrame, scores: DataFrame, delta: float, *, mean: float, mode: str = "candidate",
-    threshold: str = "absolute", direction: str = "out", max_hops: int | None = None,
+    threshold: str = "absolute", direction: str = "out", max_hops: int | None = None, facts: DataFrame | None = None,
 ) -> DataFrame:
     """(id, hop, budget) of vertices outside `inside` that the anchors' changes may still move by delta.
 
@@ -66,14 +66,13 @@ def expand_by_influence(
     reached from does, and the largest remaining budget is carried along. path_product: budget is the largest
     contribution that arrives, divided by the actual degree at every hop, and it is at least delta. With a relative
     threshold scores count as 1. mean is the mean degree; at most 1 allows one hop only. Without max_hops the ring ends
-    where budgets or contributions do.
+    where budgets or contributions do. facts: (id, out_deg) of the vertices that have edges, where known already.
     """
     if delta <= 0:
         raise ValueError("delta is above 0")
     score = F.lit(1.0) if threshold == "relative" else F.coalesce("score", F.lit(FIRST))
-    known = ends(edges).join(out_degrees(edges), "id", "left").join(scores.select("id", "score"), "id", "left").select(
-        "id", F.coalesce("out_deg", F.lit(0)).alias("deg"), score.alias("s")
-    )
+    facts = ends(edges).join(out_degrees(edges), "id", "left") if facts is None else facts.select("id", "out_deg")
+    known = facts.join(scores.select("id", "score"), "id", "left").select("id", F.coalesce("out_deg", F.lit(0)).alias("deg"), score.alias("s"))
     known = settle(known, "known")
     hops, start = _directed(edges, direction), anchors.select("id").distinct()
     if mode == "path_product":
@@ -131,14 +130,14 @@ def _spread(hops, front, sends, least, again, max_hops) -> DataFrame:  # noqa: A
 
 def select_hot(
     now: DataFrame, before: DataFrame, scores: DataFrame, params: Params, *, previous_scores: DataFrame | None = None,
-    touched: DataFrame | None = None, change: DataFrame | None = None, kernel: str = "distributed",
+    touched: DataFrame | None = None, change: DataFrame | None = None, kernel: str = "distributed", facts: DataFrame | None = None,
 ) -> DataFrame:
     """(id, reason, hop) of the hot set at a measurement point, each vertex once with the first reason that holds.
 
     now, before: edges at this point and the one before; change: degrees at both where they are known already.
     previous_scores: scores one point earlier, for the score_change signal. touched: vertices that updates touched, for
     the mean degree over these. kernel: local does it in one task where localhot has the readings; the caller has counted
-    the edges then.
+    the edges then. facts: (id, out_deg, in_deg) of all vertices, where known already.
     """
     p = params
     change = degree_change(before, now, p.degree) if change is None else change
@@ -150,10 +149,11 @@ def select_hot(
     if p.delta is None:
         return core
     anchors = ring if p.anchor == "ring" else core
+    used = None if facts is None else facts.where(F.col("out_deg") + F.col("in_deg") > 0)
     return core.union(
         expand_by_influence(
-            now, anchors, core, signal(scores, previous_scores, p), p.delta, mean=mean_of(now, touched, p), mode=p.mode,
-            threshold=p.threshold, direction=p.direction, max_hops=p.max_hops,
+            now, anchors, core, signal(scores, previous_scores, p), p.delta, mean=mean_of(now, touched, p, used), mode=p.mode,
+            threshold=p.threshold, direction=p.direction, max_hops=p.max_hops, facts=used,
         ).select("id", F.lit("influence"), "hop")
     )
 
@@ -166,8 +166,11 @@ def signal(scores: DataFrame, previous: DataFrame | None, p: Params) -> DataFram
     return scores.join(old, "id").select("id", F.abs(F.try_divide(F.col("score") - F.col("old"), F.col("old"))).alias("score"))
 
 
-def mean_of(edges: DataFrame, touched: DataFrame | None, p: Params) -> float:
+def mean_of(edges: DataFrame, touched: DataFrame | None, p: Params, used: DataFrame | None = None) -> float:
+    """Edges a vertex, of the vertices that have edges or of those touched; used: (id, out_deg) of the former if known."""
     if p.mean_degree == "touched" and touched is not None:
         near = degrees(edges).join(touched.select("id").distinct(), "id", "left_semi")
         return near.agg(F.avg("degree")).first()[0] or 0.0
+    if used is not None:
+        return used.agg(F.try_divide(F.sum("out_deg"), F.count("*"))).first()[0] or 0.0
     return mean_degree(edges).first()["mean_degree"] or 0.0

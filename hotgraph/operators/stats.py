@@ -21,6 +21,13 @@ def degrees(edges: DataFrame, kind: str = "out") -> DataFrame:
     return both.groupBy("id").agg(F.sum("n").alias("degree"))
 
 
+def both_degrees(edges: DataFrame) -> DataFrame:
+    """(id, out_deg, in_deg) of every vertex that edges touch."""
+    end = lambda name, o, i: F.struct(F.col(name).alias("id"), F.lit(o).cast("bigint").alias("o"), F.lit(i).cast("bigint").alias("i"))
+    both = edges.select(F.explode(F.array(end("src", 1, 0), end("dst", 0, 1))).alias("e")).select("e.*")
+    return both.groupBy("id").agg(F.sum("o").alias("out_deg"), F.sum("i").alias("in_deg"))
+
+
 def degree_change(before: DataFrame, now: DataFrame, kind: str = "out") -> DataFrame:
     """(id, deg_prev, deg_now): deg_prev is null for a vertex that was not there, deg_now 0 for one without edges."""
     a = degrees(before, kind).select("id", F.col("degree").alias("deg_prev"))

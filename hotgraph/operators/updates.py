@@ -6,12 +6,10 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from hotgraph.functions.expressions import stable_key
+from hotgraph.operators.ranks import FEW, numbered
 from hotgraph.sources.graphs import ends
 from hotgraph.storage import settle
 
-#: Additions that one stream may have: they are numbered by one window.
-MOST_UPDATES = 10_000_000
-
 
 def net_changes(log: DataFrame, conflict: str = "remove_then_add") -> tuple[DataFrame, DataFrame]:
     """(added, removed) edges of a log with op e+ or e-.
@@ -64,14 +62,18 @@ def sample_additions(edges: DataFrame, size: int, queries: int, seed: int = 42,
 
     order: shuffled numbers them by key, incidence by source and target.
     """
-    if size > MOST_UPDATES:
-        raise ValueError(f"at most {MOST_UPDATES} additions")
     key = stable_key("src", "dst", seed=seed)
-    few = edges.select("src", "dst", key.alias("key")).orderBy("key", "src", "dst").limit(size)
-    by = ["key", "src", "dst"] if order == "shuffled" else ["src", "dst"]
-    seq = F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(*by)).cast("bigint")  # `size` rows, checked above
+    keyed = edges.select("src", "dst", key.alias("key"))
+    by = [F.col(c) for c in (("key", "src", "dst") if order == "shuffled" else ("src", "dst"))]
+    if size <= FEW:
+        few = keyed.orderBy("key", "src", "dst").limit(size)
+        few = few.withColumn("seq", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(*by)))  # `size` rows
+    else:
+        few = numbered(keyed, F.col("key"), F.col("src"), F.col("dst"), name="seq").where(F.col("seq") <= size)
+        if order != "shuffled":
+            few = numbered(few.drop("seq"), *by, name="seq")
     chunk = max(1, size // queries)
-    return few.select("src", "dst", seq.alias("seq")).withColumn(
+    return few.select("src", "dst", F.col("seq").cast("bigint").alias("seq")).withColumn(
         "batch", F.least(F.floor((F.col("seq") - 1) / chunk) + 1, F.lit(queries)).cast("int")
     )
 

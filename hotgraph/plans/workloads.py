@@ -67,9 +67,11 @@ def workload(
 def replay(
     work: Workload, params: Params = Params(), strategy: str = "approximate", *, policy: policies.Policy | None = None, kernel: str = "auto",
     queries: int | None = None, first: DataFrame | None = None, each: Callable[[int, QuerySession], None] | None = None,
+    local_links: int | None = None,
 ) -> tuple[QuerySession, list[DataFrame]]:
     """The session after the stream, and the answers, the first exact one included."""
-    session = QuerySession(work.initial, params, Hooks(policy or policies.always(strategy)), name=work.name, kernel=kernel).start(first)
+    hooks = Hooks(policy or policies.always(strategy))
+    session = QuerySession(work.initial, params, hooks, name=work.name, kernel=kernel, local_links=local_links, distinct=True).start(first)
     answers = [session.scores]
     for q in range(1, (queries or work.queries) + 1):
         session.enqueue(work.updates.where(F.col("batch") == q))
