@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -10,6 +13,9 @@ from hotgraph.operators.ranks import FEW, numbered
 from hotgraph.sources.graphs import ends
 from hotgraph.storage import settle
 
+#: Keys among which one task may pick all deletions of a stream.
+MOST_PICKS = 2_000_000
+
 
 def net_changes(log: DataFrame, conflict: str = "remove_then_add") -> tuple[DataFrame, DataFrame]:
     """(added, removed) edges of a log with op e+ or e-.
@@ -80,11 +86,22 @@ def sample_additions(edges: DataFrame, size: int, queries: int, seed: int = 42,
 
 def sample_deletions(initial: DataFrame, additions: DataFrame, queries: int, count: int, seed: int = 42) -> DataFrame:
     """(src, dst, batch): for each chunk the `count` edges with the smallest salted keys among those of the initial graph
-    and of earlier chunks, none twice. One pass a chunk; made once and kept.
+    and of earlier chunks, none twice.
+
+    As chunks before can take no more than all deletions, that many smallest keys of each chunk are enough to pick from:
+    one pass over the edges and one task over these. Where they are too many for a task, one pass a chunk.
     """
     pool = settle(
         initial.select("src", "dst", F.lit(0).alias("since")).union(additions.select("src", "dst", F.col("batch").alias("since"))), "pool"
     )
+    size = count * queries
+    if size * queries <= MOST_PICKS:
+        dealt = pool.select("src", "dst", F.explode(F.sequence(F.col("since") + 1, F.lit(queries))).alias("batch"))  # a row a later chunk
+        salt = (F.lit(seed * 1000) + F.col("batch")).cast("string")
+        key = F.md5(F.concat_ws("-", F.col("src").cast("string"), F.col("dst").cast("string"), salt).cast("binary"))
+        by = Window.partitionBy("batch").orderBy("key", "src", "dst")
+        few = dealt.where(F.col("batch") <= queries).withColumn("key", key).withColumn("k", F.row_number().over(by)).where(F.col("k") <= size)
+        return settle(few.select("batch", "k", "src", "dst").coalesce(1).sortWithinPartitions("batch", "k").mapInPandas(_picker(count), "src bigint, dst bigint, batch int"), "deleted")
     taken = None
     for q in range(1, queries + 1):
         open_ = pool.where(F.col("since") < q)
@@ -97,6 +114,24 @@ def sample_deletions(initial: DataFrame, additions: DataFrame, queries: int, cou
     return taken.select("src", "dst", "batch")
 
 
+def _picker(count: int) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]]:
+    """Of rows in the order of (batch, k): the first `count` edges of each batch that no batch before has taken."""
+
+    def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        taken: set[tuple[int, int]] = set()
+        left: dict[int, int] = {}
+        for part in parts:
+            out = []
+            for batch, src, dst in zip(part["batch"], part["src"], part["dst"], strict=True):
+                if left.setdefault(batch, count) and (src, dst) not in taken:
+                    left[batch] -= 1
+                    taken.add((src, dst))
+                    out.append((src, dst, batch))
+            yield pd.DataFrame(out, columns=["src", "dst", "batch"])
+
+    return run
+
+
 def make_stream(
     edges: DataFrame, size: int, queries: int = 50, deletion_ratio: float = 0.2, seed: int = 42, order: str = "shuffled"
 ) -> tuple[DataFrame, DataFrame]:

@@ -11,10 +11,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hotgraph.operators import measures
-from hotgraph.operators.iterate import rank_exact
+from hotgraph.operators.iterate import LOCAL_LINKS, fits, rank_exact
 from hotgraph.operators.ranks import global_rank, list_length, top
 from hotgraph.operators.updates import make_stream
 from hotgraph.plans import policies
+from hotgraph.plans.experiment import FULL_EVERY, experiment
 from hotgraph.plans.session import RUN_LOG, Hooks, QuerySession
 from hotgraph.schema import Params
 from hotgraph.sources.graphs import BUILDERS, symmetric
@@ -28,11 +29,10 @@ DENSE_SETS = [(0.01, 0, 0.5), (0.02, 0, 0.5)]
 #: Share of all edges that a stream adds over all its queries.
 STREAM_SHARE = {"web": 0.002, "social": 0.025, "copurchase": 0.008}
 GRAPHS = {"web": "web_circulating", "social": "social_urgent", "copurchase": "copurchase"}
-#: Every so many queries whole rankings are compared too.
-FULL_EVERY = 10
-
 
 def grid(name: str) -> list[Params]:
+    if name == "all":
+        return [*grid("accuracy"), *grid("speed")]
     if name == "influence":  # all readings of the influence ring
         return [
             Params(0.2, 1, d, mode=m, threshold=t)
@@ -117,7 +117,49 @@ def with_speedup(runs: DataFrame, exact: QuerySession, approximate: QuerySession
 def report(runs: DataFrame, path: str) -> None:
     """The long table (set_id, query, metric, value) as Parquet and CSV."""
     runs.write.mode("overwrite").parquet(f"{path}/parquet")
-    runs.coalesce(1).write.mode("overwrite").option("header", True).csv(f"{path}/csv")
+    runs.write.mode("overwrite").option("header", True).csv(f"{path}/csv")
+
+
+def ran(work: Workload, sets: list[Params], kernel: str = "auto") -> DataFrame:
+    """(graph, set_id, query, metric, value) of all sets over one stream, each against exact answers to the same queries.
+
+    A graph that fits one task is replayed there, set by set; a larger one through the serving session.
+    """
+    if kernel != "distributed" and fits(LOCAL_LINKS, work.initial, work.updates):
+        return experiment(work.initial, work.updates, sets, work.queries, work.name)
+    exact_session, exact = replay(work, sets[0], policies.RECOMPUTE, kernel=kernel)
+    out = None
+    for p in sets:
+        session, answers = replay(work, p, policies.APPROXIMATE, kernel=kernel, first=exact[0])
+        runs = with_speedup(compare(exact, answers, session), exact_session, session)
+        runs = runs.select(F.lit(work.name).alias("graph"), "set_id", "query", "metric", "value")
+        out = runs if out is None else out.unionByName(runs)
+    return out
+
+
+def summary_of(runs: DataFrame) -> DataFrame:
+    """(graph, set_id, metric, queries, mean, first, last): each measure over the queries of a run."""
+    return runs.groupBy("graph", "set_id", "metric").agg(
+        F.count("*").alias("queries"), F.avg("value").alias("mean"), F.min_by("value", "query").alias("first"), F.max_by("value", "query").alias("last")
+    )
+
+
+def scaling(work: Workload, parts: list[int], params: Params = Params(0.05, 2, 1.0)) -> DataFrame:
+    """(parts, strategy, phase, seconds): both strategies with the shuffles of the loops in so many partitions, which
+    bounds the tasks that run at once. The setting is put back.
+    """
+    spark, name, rows = work.initial.sparkSession, "spark.sql.shuffle.partitions", []
+    usual = spark.conf.get(name)
+    try:
+        for n in parts:
+            spark.conf.set(name, n)
+            for strategy in (policies.RECOMPUTE, policies.APPROXIMATE):
+                session, _ = replay(work, params, strategy, kernel="distributed")
+                for phase in ("ingest", "construct", "compute"):
+                    rows.append((n, strategy, phase, sum(r["phases"].get(phase, 0.0) for r in session.rows)))
+    finally:
+        spark.conf.set(name, usual)
+    return spark.createDataFrame(rows, "parts int, strategy string, phase string, seconds double")
 
 
 def staleness_curve(work: Workload, params: Params = Params(), every: int = 1, kernel: str = "auto", p: float = 0.98) -> DataFrame:
@@ -179,6 +221,6 @@ def timed(make: Callable[[], DataFrame]) -> tuple[float, DataFrame]:
 
 
 __all__ = [
-    "RUN_LOG", "Params", "Workload", "compare", "grid", "growth_report", "rank_exact", "replay", "report", "scaling_run",
-    "staleness_curve", "timed", "with_speedup", "workload",
+    "FULL_EVERY", "RUN_LOG", "Params", "Workload", "compare", "grid", "growth_report", "ran", "rank_exact", "replay", "report", "scaling",
+    "scaling_run", "staleness_curve", "summary_of", "timed", "with_speedup", "workload",
 ]

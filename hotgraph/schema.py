@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, fields, replace
 
 from pyspark.sql import DataFrame
 
@@ -80,4 +80,7 @@ class Params:
 
     @property
     def label(self) -> str:
-        return f"r{self.r:g}_n{self.n}_d{self.delta if self.delta is None else format(self.delta, 'g')}"
+        """r, n and delta, and any reading that is not the usual one."""
+        usual, plain = Params(), ("r", "n", "delta", "beta", "iterations")
+        other = [str(getattr(self, f.name)) for f in fields(self) if f.name not in plain and getattr(self, f.name) != getattr(usual, f.name)]
+        return "_".join([f"r{self.r:g}_n{self.n}_d{self.delta if self.delta is None else format(self.delta, 'g')}", *other])

@@ -125,7 +125,9 @@ def test_plans(spark):
     assert "SortMergeJoin" in bucketed and "Exchange" not in bucketed
 
 
-@pytest.mark.parametrize("more", [{}, {"direction": "both"}, {"anchor": "ring"}, {"threshold": "relative", "delta": 0.1}, {"degree": "total", "n": 2}, {"delta": None}, {"n": 0, "delta": 0.2}])
+@pytest.mark.parametrize("more", [{}, {"direction": "both"}, {"anchor": "ring"}, {"threshold": "relative", "delta": 0.1}, {"degree": "total", "n": 2}, {"delta": None}, {"n": 0, "delta": 0.2},
+    {"mode": "anchor"}, {"mode": "anchor", "threshold": "relative", "delta": 0.1, "anchor": "ring"}, {"mode": "path_product", "delta": 0.1},
+    {"mode": "path_product", "direction": "in", "max_hops": 2}, {"zero_policy": "exclude", "degree": "in"}])
 def test_local_hot_set_is_the_same(spark, more):
     from hotgraph.operators.selection import select_hot
     from tests.test_method import random_edges
