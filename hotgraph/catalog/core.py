@@ -43,7 +43,7 @@ def point(spark: SparkSession, sf_dir: str) -> Point:
         updates = settle(updates, "updates")
         now = settle(merge_updates(before, *net_changes(updates.where("batch = 1"))), "now")
         vertices = settle(ends(before).union(ends(now)).distinct(), "vertices")
-        scores = settle(rank_exact(before, iterations=ROUNDS, kernel="local"), "scores")
+        scores = settle(rank_exact(before, iterations=ROUNDS, kernel="auto"), "scores")
         return Point(before, updates, now, vertices, scores)
 
     return once(spark, "point", sf_dir, make=make)
@@ -61,13 +61,13 @@ def summary(spark: SparkSession, sf_dir: str, p: Params = P) -> Summary:
 
 def approximate(spark: SparkSession, sf_dir: str, p: Params = P) -> DataFrame:
     at = point(spark, sf_dir)
-    make = lambda: settle(rank_approximate(summary(spark, sf_dir, p), at.scores, at.vertices, iterations=ROUNDS, kernel="local"), "approximate")
+    make = lambda: settle(rank_approximate(summary(spark, sf_dir, p), at.scores, at.vertices, iterations=ROUNDS, kernel="auto"), "approximate")
     return once(spark, "approximate", sf_dir, p, make=make)
 
 
 def exact_now(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = point(spark, sf_dir)
-    return once(spark, "exact", sf_dir, make=lambda: settle(rank_exact(at.now, iterations=ROUNDS, vertices=at.vertices, kernel="local"), "exact"))
+    return once(spark, "exact", sf_dir, make=lambda: settle(rank_exact(at.now, iterations=ROUNDS, vertices=at.vertices, kernel="auto"), "exact"))
 
 
 # SQL of the same chain ------------------------------------------------------------------------------------------------
@@ -160,6 +160,19 @@ _exact_key("rank_exact", "copurchase")
 _exact_key("rank_exact_social", "social_urgent")
 _exact_key("rank_exact_sinks", "web_site")
 
+
+@key("rank_beta_one", ctes(("e", GRAPH_SQL["copurchase"]), ("v", ends_sql("e")), *exact_sql("s", "e", "v", 5, 1.0)) + " select id, round(score, 6) as score from s5")
+def rank_beta_one(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All of the score travels along edges."""
+    return _r(rank_exact(graph(spark, sf_dir, "copurchase"), beta=1.0, iterations=5, kernel="auto"), "score")
+
+
+@key("rank_split_hubs", ctes(("e", GRAPH_SQL["copurchase"]), ("v", ends_sql("e")), *exact_sql("s", "e", "v", 3)) + " select id, round(score, 6) as score from s3")
+def rank_split_hubs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sources with over 30 links are dealt by target, and their scores sent to all tasks."""
+    e = graph(spark, sf_dir, "copurchase")
+    return _r(power_loop(weighted(e), ends(e), iterations=3, hub_links=30), "score")
+
 _CO = [("e", GRAPH_SQL["copurchase"]), ("v", ends_sql("e"))]
 
 
@@ -171,18 +184,18 @@ def rank_local_kernel(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @key("rank_topk", ctes(*_CO, *exact_sql("s", "e", "v", ROUNDS)) + f" select row_number() over (order by round(score, 9) desc, id)::bigint as rank, id, round(score, 6) as score from s{ROUNDS} order by round(score, 9) desc, id limit 20")
 def rank_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _r(top(rank_exact(graph(spark, sf_dir, "copurchase"), iterations=ROUNDS, kernel="local"), 20), "score")
+    return _r(top(rank_exact(graph(spark, sf_dir, "copurchase"), iterations=ROUNDS, kernel="auto"), 20), "score")
 
 
 @key("rank_beta_zero", ctes(*_CO) + " select id, 1.0::double as score from v")
 def rank_beta_zero(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return rank_exact(graph(spark, sf_dir, "copurchase"), beta=0.0, iterations=2, kernel="local")
+    return rank_exact(graph(spark, sf_dir, "copurchase"), beta=0.0, iterations=2, kernel="auto")
 
 
 @key("rank_tolerance")
 def rank_tolerance(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rounds until the scores move by at most 1e-9 in all."""
-    return _r(rank_exact(graph(spark, sf_dir, "social_urgent"), iterations=200, tol=1e-9, kernel="local"), "score")
+    return _r(rank_exact(graph(spark, sf_dir, "social_urgent"), iterations=200, tol=1e-9, kernel="auto"), "score")
 
 
 @key("rank_dangling", ctes(("e", GRAPH_SQL["web_site"]), ("v", ends_sql("e")), ("w", "select e.src, e.dst, 1.0::double / d.n as weight from e join (select src, count(*) as n from e group by src) d on d.src = e.src"),
@@ -197,7 +210,7 @@ def rank_dangling(spark: SparkSession, sf_dir: str) -> DataFrame:
 def rank_personalised_(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = graph(spark, sf_dir, "copurchase")
     restart = ends(e).where("id % 10 = 0").select("id", F.lit(1.0).alias("share"))
-    return _r(rank_personalised(e, restart, iterations=ROUNDS, kernel="local"), "score")
+    return _r(rank_personalised(e, restart, iterations=ROUNDS, kernel="auto"), "score")
 
 
 @key("rank_weighted", ctes(("o", "select o_custkey as c, l_partkey + 1000000000000 as p, sum(l_quantity) as q from orders join lineitem on o_orderkey = l_orderkey group by 1, 2"),
@@ -211,7 +224,7 @@ def rank_weighted(spark: SparkSession, sf_dir: str) -> DataFrame:
     o, li = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey"), table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_quantity")
     met = o.join(li, F.col("o_orderkey") == F.col("l_orderkey")).groupBy(F.col("o_custkey").alias("src"), (F.col("l_partkey") + PART_OFFSET).alias("dst")).agg(F.sum("l_quantity").alias("q"))
     both = settle(met.union(met.select(F.col("dst"), F.col("src"), "q")), "weighted")
-    return _r(rank_exact(both, iterations=5, weight_col="q", kernel="local"), "score")
+    return _r(rank_exact(both, iterations=5, weight_col="q", kernel="auto"), "score")
 
 
 # Hot set --------------------------------------------------------------------------------------------------------------
@@ -240,6 +253,49 @@ for _n in (0, 1, 2, 4):
     _ring_key(_n)
 
 
+def _kind_sql(kind: str) -> list[tuple[str, str]]:
+    """k0, k1: degrees of another kind before and after; and the seeds by them."""
+    ends_of = {"in": "select dst as id from {0}", "total": "select src as id from {0} union all select dst from {0}"}[kind]
+    return [
+        *((f"k{t}", f"select v.id, count(o.id) as n from v{t} v left join ({ends_of.format(f'e{t}')}) o on o.id = v.id group by v.id") for t in (0, 1)),
+        ("seeds", "select k1.id, case when k0.id is null then 'new' else 'changed' end as reason from k1 left join k0 on k0.id = k1.id where k0.id is null or abs(k1.n - k0.n) > 0.2::double * k0.n"),
+    ]
+
+
+def _kind_key(kind: str) -> None:
+    @key(f"seeds_changed_{kind}", ctes(*AT, *_kind_sql(kind)) + " select id, reason from seeds")
+    def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+        at = point(spark, sf_dir)
+        return select_changed(degree_change(at.before, at.now, kind), 0.2)
+
+
+_kind_key("in")
+_kind_key("total")
+
+
+@key("seeds_zero_excluded", ctes(*AT, ("seeds", "select d1.id, case when d0.id is null then 'new' else 'changed' end as reason from d1 left join d0 on d0.id = d1.id where d0.id is null or (abs(d1.n - d0.n) > 0.2::double * d0.n and d0.n > 0)")) + " select id, reason from seeds")
+def seeds_zero_excluded(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Growth from no edges at all does not make a seed."""
+    at = point(spark, sf_dir)
+    return select_hot(at.now, at.before, at.scores, P.but(n=0, delta=None, zero_policy="exclude")).select("id", "reason")
+
+
+_WAYS = {"in": "select dst as src, src as dst from e1", "both": "select src, dst from e1 union select dst, src from e1"}
+
+
+def _way_key(way: str) -> None:
+    ring = [(n, t.replace("join near", "JOIN near").replace("from near", "FROM near").replace(" e1 ", " way ").replace("e1.", "way.")) for n, t in bfs_sql("near", "seeds", 2)]
+
+    @key(f"ring_hops_{way}", ctes(*AT, seeds_sql(0.2), ("way", _WAYS[way]), *ring) + " select id, hop from near where hop > 0")
+    def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+        at = point(spark, sf_dir)
+        return expand_hops(at.now, select_changed(degree_change(at.before, at.now), 0.2), 2, way)
+
+
+_way_key("in")
+_way_key("both")
+
+
 def _influence(spark: SparkSession, sf_dir: str, mode: str, delta: float, threshold: str = "absolute", max_hops: int | None = None) -> DataFrame:
     at = point(spark, sf_dir)
     core = hot(spark, sf_dir, P.but(delta=None))
@@ -247,6 +303,29 @@ def _influence(spark: SparkSession, sf_dir: str, mode: str, delta: float, thresh
     return _r(expand_by_influence(at.now, core, core, at.scores, delta, mean=mean, mode=mode, threshold=threshold, max_hops=max_hops), "budget")
 
 
+def _reading_key(name: str, mean: str, known: str, **reading) -> None:  # noqa: ANN003
+    """The hot set of select_hot with one reading other than the usual one."""
+    parts = [("mean", f"select ({mean}) as m"), ("known", known), *[x for x in candidate_sql(0.1) if x[0] not in ("mean", "known")]]
+
+    @key(name, ctes(*SCORED, seeds_sql(0.2), *ring_sql(1), *parts) + " select id, reason, hop from core union all select id, 'influence', hop from infl")
+    def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+        at = point(spark, sf_dir)
+        ids = at.updates.where("batch = 1").select(F.explode(F.array("src", "dst")).alias("id"))
+        older = rank_exact(at.before, iterations=5, kernel="auto")
+        return select_hot(at.now, at.before, at.scores, P.but(delta=0.1, **reading), previous_scores=older, touched=ids)
+
+
+_reading_key(
+    "hot_set_touched_mean", "select avg(n) from d1 where id in (select src from adds where batch = 1 union select dst from adds where batch = 1 union select src from del1 union select dst from del1) and id in (" + ends_sql("e1") + ")",
+    KNOWN[1][1], mean_degree="touched",
+)
+_reading_key(
+    "hot_set_score_change", KNOWN[0][1][len("select "):].removesuffix(" as m"),
+    KNOWN[1][1].replace("coalesce(x.score, 1.0) as s", "coalesce(abs((x.score - o.score) / o.score), 1.0) as s").replace(", mean where", " left join x5 o on o.id = d1.id, mean where"),
+    signal="score_change",
+)
+
+
 def _candidate_key(name: str, delta: float) -> None:
     @key(name, ctes(*SCORED, seeds_sql(0.2), *ring_sql(1), *candidate_sql(delta)) + " select id, hop, round(budget, 6) as budget from infl")
     def _(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -341,23 +420,23 @@ def rank_approx_all_hot(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every vertex hot and a cold start: the same as the exact ranking."""
     at = point(spark, sf_dir)
     built = build_summary(at.now, at.vertices, at.scores)
-    return _r(rank_approximate(built, at.scores, at.vertices, iterations=ROUNDS, warm=False, kernel="local").select("id", "score"), "score")
+    return _r(rank_approximate(built, at.scores, at.vertices, iterations=ROUNDS, warm=False, kernel="auto").select("id", "score"), "score")
 
 
 @key("rank_approx_empty_hot", ctes(*_CO, *exact_sql("s", "e", "v", ROUNDS)) + f" select id, round(score, 6) as score from s{ROUNDS}")
 def rank_approx_empty_hot(spark: SparkSession, sf_dir: str) -> DataFrame:
     """No vertex hot: the previous scores."""
     e = graph(spark, sf_dir, "copurchase")
-    scores = settle(rank_exact(e, iterations=ROUNDS, kernel="local"), "scores")
+    scores = settle(rank_exact(e, iterations=ROUNDS, kernel="auto"), "scores")
     none = ends(e).limit(0)
     built = build_summary(e, none, scores)
-    return _r(rank_approximate(built, scores, ends(e), iterations=ROUNDS, kernel="local").select("id", "score"), "score")
+    return _r(rank_approximate(built, scores, ends(e), iterations=ROUNDS, kernel="auto").select("id", "score"), "score")
 
 
 @key("rank_warm_recompute", ctes(*SCORED, ("zlinks", "select e.src, e.dst, 1.0::double / d1.n as weight from e1 e join d1 on d1.id = e.src"), ("zbase", f"select v1.id, 0.15::double as fixed, coalesce(x.score, 1.0) as score from v1 left join x{ROUNDS} x on x.id = v1.id"), *loop_sql("z", "zlinks", "zbase", 5)) + " select id, round(score, 6) as score from z5")
 def rank_warm_recompute(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = point(spark, sf_dir)
-    return _r(power_loop(weighted(at.now), at.vertices, iterations=5, start=at.scores, kernel="local"), "score")
+    return _r(power_loop(weighted(at.now), at.vertices, iterations=5, start=at.scores, kernel="auto"), "score")
 
 
 def _chunk_sql(q: int) -> list[tuple[str, str]]:
@@ -398,6 +477,31 @@ def eigen_centrality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _r(programs.run(programs.eigen_centrality(), graph(spark, sf_dir, "copurchase"), ROUNDS), "value")
 
 
+_THIRD = "id % 3 = 0"
+
+
+@key("eigen_summary", ctes(*_CO, ("s0", "select id, 1.0::double as x from v"), *((f"s{k}", f"select v.id, coalesce(g.got, 0) / (max(coalesce(g.got, 0)) over ()) as x from v left join (select e.dst, sum(s.x) as got from e join s{k - 1} s on s.id = e.src group by e.dst) g on g.dst = v.id") for k in range(1, 4)),
+    ("hot", f"select id from v where {_THIRD}"), ("cold", f"select e.dst, sum(s.x) as x from e join s3 s on s.id = e.src where e.dst in (select id from hot) and e.src not in (select id from hot) group by e.dst"),
+    ("rest", "select sum(s.x) as m from e join s3 s on s.id = e.src where e.dst = (select id from s3 where id not in (select id from hot) order by x desc, id limit 1)"), ("t0", "select id, x from s3 where id in (select id from hot)"),
+    *((f"t{k}", f"select h.id, (coalesce(g.got, 0) + coalesce(c.x, 0)) / greatest(coalesce(m, 0), max(coalesce(g.got, 0) + coalesce(c.x, 0)) over ()) as x from hot h left join (select e.dst, sum(t.x) as got from e join t{k - 1} t on t.id = e.src group by e.dst) g on g.dst = h.id left join cold c on c.dst = h.id, rest") for k in range(1, 6)))
+    + " select id, round(x, 6) as value, true as is_hot from t5 union all select id, round(x, 6), false from s3 where id not in (select id from hot)")
+def eigen_summary(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Another program through the summary: a third of the vertices is hot, the rest keeps the values of three exact rounds."""
+    e = graph(spark, sf_dir, "copurchase")
+    old = settle(programs.run(programs.eigen_centrality(), e, 3), "old")
+    return _r(programs.run_summary(programs.eigen_centrality(), e, ends(e).where(_THIRD), old, 5), "value")
+
+
+@key("page_rank_summary", ctes(*APPROX) + " select id, round(score, 6) as value, is_hot from approx")
+def page_rank_summary(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ranking as a program through the summary: the same as the approximate ranking."""
+    at = point(spark, sf_dir)
+    old = at.scores.withColumnRenamed("score", "value")
+    found = programs.run_summary(programs.page_rank(), at.now, hot(spark, sf_dir), old, ROUNDS)
+    whole = at.vertices.join(found, "id", "left").select("id", F.coalesce("value", F.lit(0.15)).alias("value"), F.coalesce("is_hot", F.lit(False)).alias("is_hot"))
+    return _r(whole, "value")
+
+
 @key("page_rank_program", ctes(*_CO, *exact_sql("s", "e", "v", 5)) + " select id, round(score, 6) as value from s5")
 def page_rank_program(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _r(programs.run(programs.page_rank(), graph(spark, sf_dir, "copurchase"), 5, style="gather"), "value")
@@ -422,12 +526,12 @@ _SHARE = "('0x' || substr(md5({0}), 1, 12))::bigint / 281474976710656.0"
 
 @key("baseline_sample", ctes(("g", GRAPH_SQL["copurchase"]), ("v", ends_sql("g")), ("e", f"select src, dst from g where {_SHARE.format(key_sql(42)[4:-1])} < 0.5"), *exact_sql("s", "e", "v", 5)) + " select id, round(score, 6) as score from s5")
 def baseline_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _r(baselines.baseline_sample(graph(spark, sf_dir, "copurchase"), 0.5, iterations=5, kernel="local"), "score")
+    return _r(baselines.baseline_sample(graph(spark, sf_dir, "copurchase"), 0.5, iterations=5, kernel="auto"), "score")
 
 
 @key("baseline_drop_tasks", ctes(("g", GRAPH_SQL["copurchase"]), ("v", ends_sql("g")), ("e", "select src, dst from g where floor(" + _SHARE.format("src::varchar || '-42'") + " * 8) < 6"), *exact_sql("s", "e", "v", 5)) + " select id, round(score, 6) as score from s5")
 def baseline_drop_tasks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _r(baselines.baseline_drop_tasks(graph(spark, sf_dir, "copurchase"), 8, 6, iterations=5, kernel="local"), "score")
+    return _r(baselines.baseline_drop_tasks(graph(spark, sf_dir, "copurchase"), 8, 6, iterations=5, kernel="auto"), "score")
 
 
 @key("baseline_shed", ctes(*STREAM) + " select src, dst from adds where " + _SHARE.format("src::varchar || '-' || dst::varchar || '-e+-42'") + " < 0.5")

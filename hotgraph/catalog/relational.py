@@ -465,7 +465,7 @@ def limit_offset(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @key("global_rank_distributed", ctes(("e", _C), ("v", ends_sql("e")), *exact_sql("s", "e", "v", 5)) + " select id, row_number() over (order by round(score, 9) desc, id)::bigint as rank from s5")
 def global_rank_distributed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return global_rank(rank_exact(graph(spark, sf_dir, "copurchase"), iterations=5, kernel="local")).select("id", F.col("rank").cast("bigint").alias("rank"))
+    return global_rank(rank_exact(graph(spark, sf_dir, "copurchase"), iterations=5, kernel="auto")).select("id", F.col("rank").cast("bigint").alias("rank"))
 
 
 # Sets and subqueries --------------------------------------------------------------------------------------------------

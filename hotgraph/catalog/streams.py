@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hotgraph.catalog.base import GRAPH_SQL, key
+from hotgraph.catalog.base import GRAPH_SQL, ctes, ends_sql, key
 from hotgraph.plans.session import Hooks, QuerySession
 from hotgraph.schema import Params
 from hotgraph.sources.graphs import edge_set
@@ -66,10 +66,9 @@ def st_watermark_late(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @key("st_late_side_table", "select event_id from events where dayofmonth(ts) <= 2")
 def st_late_side_table(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The rows that a watermark of a day leaves out, kept with their arrival for the statistics."""
-    e = table(spark, sf_dir, "events").select("event_id", "ts")
-    arrived = e.withColumn("arrival", F.dayofmonth("ts")).union(e.where("dayofmonth(ts) <= 2").withColumn("arrival", F.lit(99)))
-    return windows.late_rows(arrived).select("event_id")
+    """A last file brings the first two days again: the rows that a watermark of a day leaves out."""
+    path = _split(spark, sf_dir, 10, table(spark, sf_dir, "events").where("dayofmonth(ts) <= 2"))
+    return windows.late_rows(windows.read_events(spark, path, 1)).select("event_id")
 
 
 @key("st_dedup_watermark", "select event_id, user_id from events")
@@ -126,16 +125,30 @@ def foreach_batch_sink(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edge_set(spark.read.parquet(path))
 
 
-@key("st_query_loop")
+def _loop_sql() -> str:
+    """Edges after each of the four files, and the vertices whose out-degree moved by over 2 % since the file before."""
+    parts = []
+    for b in range(1, 5):
+        e = GRAPH_SQL["user_next"].replace("from events ", f"from events where dayofmonth(ts) <= {10 * b}")
+        parts += [(f"E{b}", e), (f"N{b}", f"select v.id, count(e.src) as n from ({ends_sql(f'E{b}')}) v left join E{b} e on e.src = v.id group by v.id")]
+    rows = " union all ".join(
+        f" select {b}::int as batch, 'approximate' as strategy, (select count(*) from E{b})::bigint as n_edges, "
+        f"(select count(*) from N{b} a left join N{max(1, b - 1)} o on o.id = a.id where o.id is null or abs(a.n - o.n) > 0.02::double * o.n)::bigint as n_hot"
+        for b in range(1, 5)
+    )
+    return ctes(*parts) + rows
+
+
+@key("st_query_loop", _loop_sql())
 def st_query_loop(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Serving from the live stream: the first ten days are the graph, each later file ends with a query."""
     path = _split(spark, sf_dir, 10)
     first = serve.events_as_updates(table(spark, sf_dir, "events").where("dayofmonth(ts) <= 10")).select("src", "dst")
     session = QuerySession(settle(first, "first"), Params(0.02, 0, None, iterations=5), Hooks(), name="user_next").start()
-    out = scratch(spark, "answers")
+    out, chain = scratch(spark, "answers"), serve.EventChain(scratch(spark, "chain"))
 
     def each(batch: DataFrame, batch_id: int) -> None:
-        serve.process_batch(session, serve.events_as_updates(batch))
+        serve.process_batch(session, chain.updates(batch, batch_id))
         session.scores.write.mode("overwrite").parquet(f"{out}/version={batch_id}")
 
     windows.read_events(spark, path, 1).writeStream.foreachBatch(each).option("checkpointLocation", f"{out}-state").trigger(

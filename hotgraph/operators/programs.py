@@ -20,8 +20,10 @@ from hotgraph.storage import pin, settle
 class VertexProgram:
     """init: first value of a vertex (column id). message: what goes along an edge (columns value, out_deg, src, dst).
     combine: aggregate over a vertex's messages (column message). apply: new value (columns value, got; got is null
-    without messages). boundary: the summary's rule for what comes from outside: "constant" for rank-like programs, None
-    where only exact runs are right. after: a step over all values of a round, such as a normalisation.
+    without messages). boundary: the summary's rule for what comes from outside: "constant" for programs whose messages add
+    up, None where only exact runs are right. after: a step over all values of a round, such as a normalisation.
+    outside: of edges, values of the point before and hot vertices, the few rows (value) by which the rest takes part in
+    that step.
     """
 
     init: Callable[[], Column]
@@ -30,6 +32,7 @@ class VertexProgram:
     apply: Callable[[], Column]
     boundary: str | None = None
     after: Callable[[DataFrame], DataFrame] | None = None
+    outside: Callable[[DataFrame, DataFrame, DataFrame], DataFrame] | None = None
 
 
 def run(program: VertexProgram, edges: DataFrame, iterations: int | None, style: str = "vertex", vertices: DataFrame | None = None) -> DataFrame:
@@ -56,15 +59,54 @@ def run(program: VertexProgram, edges: DataFrame, iterations: int | None, style:
     return values.select("id", "value")
 
 
+def run_summary(program: VertexProgram, edges: DataFrame, hot: DataFrame, previous: DataFrame, iterations: int) -> DataFrame:
+    """(id, value, is_hot) of the vertices of previous(id, value) and hot(id): the program over the hot vertices and the
+    edges among them. What comes along edges from others is made once, of their previous values, and held; these
+    vertices keep their values. All hot is the exact run from the previous values on; none hot gives these back.
+    """
+    if program.boundary != "constant":
+        raise ValueError("the program has no rule for what comes from outside")
+    ids = settle(hot.select("id").distinct(), "hot")
+    degree = out_degrees(edges)
+    known = previous.select("id", "value").join(ids, "id", "full_outer").join(degree, "id", "left")
+    known = settle(known.select("id", F.coalesce("out_deg", F.lit(0)).alias("out_deg"), F.coalesce("value", program.init()).alias("value")), "known")
+    aimed = edges.select("src", "dst").join(ids.select(F.col("id").alias("dst")), "dst", "left_semi")
+    inner = settle(aimed.join(ids.select(F.col("id").alias("src")), "src", "left_semi"), "inner")
+    cold = known.join(ids, "id", "left_anti")
+    sent = aimed.join(cold, F.col("src") == F.col("id")).select("dst", program.message().alias("message")).where("message is not null")
+    inflow = pin(sent.groupBy("dst").agg(program.combine(F.col("message")).alias("message")).select("dst", "message"), "dst")
+    values, met_with = pin(known.join(ids, "id", "left_semi"), "id"), deal(inner)
+    rest = None if program.outside is None else settle(program.outside(edges, known.select("id", "value"), ids), "rest")
+    for k in range(iterations):
+        sent = met_with(values.where("value is not null")).select("dst", program.message().alias("message")).where("message is not null")
+        got = sent.unionByName(inflow).groupBy(F.col("dst").alias("id")).agg(program.combine(F.col("message")).alias("got"))
+        values = values.join(got, "id", "left").select("id", "out_deg", program.apply().alias("value"))
+        if program.after is not None:
+            extra = F.lit(None).cast("bigint")
+            every = values if rest is None else values.unionByName(rest.select(extra.alias("id"), extra.alias("out_deg"), "value"))
+            values = program.after(every).where("id is not null")
+        if (k + 1) % CUT_EVERY == 0 and k + 1 < iterations:
+            values = values.checkpoint(eager=True)
+    return cold.select("id", "value", F.lit(False).alias("is_hot")).unionByName(values.select("id", "value", F.lit(True).alias("is_hot")))
+
+
 def page_rank(beta: float = 0.85) -> VertexProgram:
     return VertexProgram(
-        init=lambda: F.lit(1.0), message=lambda: F.col("value") / F.col("out_deg"), combine=F.sum,
+        init=lambda: F.lit(1.0), message=lambda: F.try_divide("value", "out_deg"), combine=F.sum,
         apply=lambda: F.lit(1 - beta) + beta * F.coalesce("got", F.lit(0.0)), boundary="constant",
     )
 
 
 def eigen_centrality() -> VertexProgram:
-    """Sum over in-neighbours, divided by the largest value in each round."""
+    """Sum over in-neighbours, divided by the largest value in each round.
+
+    In a summary the rest takes part in that division by one row: what its largest vertex gets from its in-neighbours.
+    """
+
+    def outside(edges: DataFrame, values: DataFrame, hot: DataFrame) -> DataFrame:
+        top = values.join(hot, "id", "left_anti").where("value is not null").orderBy(F.col("value").desc(), "id").limit(1)
+        near = edges.join(top.select(F.col("id").alias("dst")), "dst", "left_semi")
+        return near.join(values, F.col("src") == F.col("id")).agg(F.sum("value").alias("value")).where("value is not null")
 
     def scaled(values: DataFrame) -> DataFrame:
         most = values.agg(F.max("value").alias("most"))
@@ -73,7 +115,7 @@ def eigen_centrality() -> VertexProgram:
 
     return VertexProgram(
         init=lambda: F.lit(1.0), message=lambda: F.col("value"), combine=F.sum, apply=lambda: F.coalesce("got", F.lit(0.0)),
-        boundary="constant", after=scaled,
+        boundary="constant", after=scaled, outside=outside,
     )
 
 

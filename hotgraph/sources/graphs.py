@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from hotgraph.sources.tables import table
+from hotgraph.storage import settle
 
 #: Added to part numbers where customers and parts share one graph.
 PART_OFFSET = 10**12
@@ -31,6 +32,21 @@ def label_id(label: Column) -> Column:
     return F.conv(F.substring(F.md5(label.cast("binary")), 1, 15), 16, 10).cast("bigint")
 
 
+def with_next(df: DataFrame, value: str, order: list[str], by: list[str] | None = None, name: str = "next") -> DataFrame:
+    """df with the value of the next row in the given order, within groups of by; null for the last row of each.
+
+    Rows are dealt to ranges of (by, order), so a group of any size is many tasks; the last row of a group in a range
+    meets the first in the next one through one row for each group and range. value and by are never null.
+    """
+    by, parts = by or [], int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = settle(df.repartitionByRange(parts, *by, *order).withColumn("_part", F.spark_partition_id()), "ordered")
+    inside = F.lead(value).over(Window.partitionBy("_part", *by).orderBy(*order))
+    begins = dealt.groupBy("_part", *by).agg(F.min_by(value, F.struct(*order)).alias("_first"))
+    later = Window.partitionBy(*by, F.lit(0)).orderBy("_part")  # a row for each range
+    after = settle(begins.select("_part", *by, F.lead("_first").over(later).alias("_after")).where("_after is not null"), "begins")
+    return dealt.withColumn(name, inside).join(after, ["_part", *by], "left").withColumn(name, F.coalesce(name, "_after")).drop("_part", "_after")
+
+
 def copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
     by = Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey")
     lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
@@ -40,9 +56,9 @@ def copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
 def social_urgent(spark: SparkSession, sf_dir: str) -> DataFrame:
     urgent = table(spark, sf_dir, "orders").where("o_orderpriority = '1-URGENT'").select("o_orderkey", "o_custkey", "o_orderdate")
     people = table(spark, sf_dir, "customer").select("c_custkey", "c_nationkey")
-    by = Window.partitionBy("c_nationkey").orderBy("o_orderdate", "o_orderkey")
-    met = urgent.join(people, F.col("o_custkey") == F.col("c_custkey"))
-    return edge_set(met.select(F.col("c_custkey").alias("src"), F.lead("c_custkey").over(by).alias("dst")))
+    met = urgent.join(people, F.col("o_custkey") == F.col("c_custkey")).where("c_nationkey is not null")
+    chained = with_next(met.drop("o_custkey"), "c_custkey", ["o_orderdate", "o_orderkey"], ["c_nationkey"])
+    return edge_set(chained.select(F.col("c_custkey").alias("src"), F.col("next").alias("dst")))
 
 
 def web_site(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -54,21 +70,9 @@ def web_site(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _successive(events: DataFrame) -> DataFrame:
-    """Edges from each event's user to the next event's user, over all events in time order.
-
-    Days are windows of their own; the last event of a day meets the first of the next day by one row a day.
-    """
-    dated = events.select("user_id", "ts", "event_id", F.to_date("ts").alias("day"))
-    by = Window.partitionBy("day").orderBy("ts", "event_id")
-    inside = dated.select(F.col("user_id").alias("src"), F.lead("user_id").over(by).alias("dst"))
-    order = F.struct("ts", "event_id")
-    edges_of_days = dated.groupBy("day").agg(
-        F.min_by("user_id", order).alias("first"), F.max_by("user_id", order).alias("last")
-    )
-    across = edges_of_days.select(
-        F.col("last").alias("src"), F.lead("first").over(Window.partitionBy(F.lit(0)).orderBy("day")).alias("dst")
-    )
-    return edge_set(inside.union(across))
+    """Edges from each event's user to the next event's user, over all events in time order."""
+    chained = with_next(events.select("user_id", "ts", "event_id").where("user_id is not null"), "user_id", ["ts", "event_id"])
+    return edge_set(chained.select(F.col("user_id").alias("src"), F.col("next").alias("dst")))
 
 
 def user_next(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from hotgraph.plans.session import QuerySession
 from hotgraph.schema import UPDATES, require
+from hotgraph.sources.graphs import with_next
 from hotgraph.storage import settle
 
 
@@ -43,13 +44,34 @@ def serve(source: DataFrame, session: QuerySession, path: str, checkpoint: str,
     return source.writeStream.foreachBatch(each).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def events_as_updates(events: DataFrame) -> DataFrame:
-    """Edge additions between successive users of a batch of events, in the shape of the update log."""
-    from pyspark.sql import Window
+def events_as_updates(events: DataFrame, last: DataFrame | None = None) -> DataFrame:
+    """Edge additions between successive users of some events, in the shape of the update log.
 
-    by = Window.partitionBy(F.to_date("ts")).orderBy("ts", "event_id")
-    pairs = events.select(
-        F.col("event_id").alias("seq"), F.col("ts").cast("timestamp").alias("ts"), F.lit(0).alias("batch"), F.lit("e+").alias("op"),
-        F.col("user_id").alias("src"), F.lead("user_id").over(by).alias("dst"),
-    )
+    last: one row (event_id, ts, user_id), the event before these.
+    """
+    own = events.select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id").where("user_id is not null")
+    every = own if last is None else own.unionByName(last.select("event_id", "ts", "user_id"))
+    pairs = with_next(every, "user_id", ["ts", "event_id"]).select(
+        F.col("event_id").alias("seq"), "ts", F.lit(0).alias("batch"), F.lit("e+").alias("op"), F.col("user_id").alias("src"), F.col("next").alias("dst")
+    )
     return pairs.where("dst is not null and src <> dst")
+
+
+class EventChain:
+    """Updates of one micro-batch of events after the other, the edge between the batches included.
+
+    The last event so far is written under the batch's id, so a batch that is run again after a failure starts from the
+    event before it, not from its own.
+    """
+
+    def __init__(self, path: str) -> None:
+        self.path = path
+
+    def updates(self, events: DataFrame, batch_id: int) -> DataFrame:
+        spark, last = events.sparkSession, None
+        if batch_id:
+            last = spark.read.parquet(f"{self.path}/last={batch_id - 1}")
+        own = events.select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id").where("user_id is not null")
+        every = own if last is None else own.unionByName(last)
+        every.orderBy(F.col("ts").desc(), F.col("event_id").desc()).limit(1).write.mode("overwrite").parquet(f"{self.path}/last={batch_id}")
+        return events_as_updates(events, last)

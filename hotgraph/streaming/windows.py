@@ -110,14 +110,25 @@ def upserted(stream: DataFrame, keys: list[str], order: str) -> DataFrame:
     return last.select(*keys, "_v.*")
 
 
-def late_rows(events: DataFrame, seen: Callable[[], object] | None = None, late: str = "1 day") -> DataFrame:
-    """Batch form: rows older than the watermark that rows before them in arrival order had set; a side table for these.
+def late_rows(stream: DataFrame, late: str = "1 day") -> DataFrame:
+    """The side table of a stream's late rows, after it has been drained: rows older than the watermark, which is `late`
+    below the largest ts of all batches before.
 
-    arrival (a column of events) is the order of files; the watermark of a file is the largest ts of earlier ones.
+    That largest ts is written under each batch's id, as are the late rows, so a batch that runs again overwrites its own.
     """
-    from pyspark.sql import Window
+    spark = stream.sparkSession
+    path = scratch(spark, "late")
 
-    tops = events.groupBy("arrival").agg(F.max("ts").alias("top"))
-    before = Window.partitionBy(F.lit(0)).orderBy("arrival").rowsBetween(Window.unboundedPreceding, -1)  # one row a file
-    marks = tops.select("arrival", (F.max("top").over(before) - F.expr(f"interval {late}")).alias("mark"))
-    return events.join(F.broadcast(marks), "arrival").where("ts < mark").drop("mark")
+    def each(batch: DataFrame, batch_id: int) -> None:
+        top = batch.agg(F.max("ts").alias("top"))
+        if batch_id:
+            before = spark.read.parquet(f"{path}/top={batch_id - 1}")
+            mark = before.select((F.col("top") - F.expr(f"interval {late}")).alias("_mark"))  # one row
+            batch.crossJoin(F.broadcast(mark)).where("ts < _mark").drop("_mark").write.mode("overwrite").parquet(f"{path}/rows/version={batch_id}")
+            top = top.union(before).agg(F.max("top").alias("top"))
+        else:
+            batch.limit(0).write.mode("overwrite").parquet(f"{path}/rows/version=0")
+        top.write.mode("overwrite").parquet(f"{path}/top={batch_id}")
+
+    stream.writeStream.foreachBatch(each).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{path}/rows")

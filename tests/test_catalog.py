@@ -17,7 +17,8 @@ PICKED = [
     "label_communities", "rbo_ext", "rbo_res", "rbo_uneven", "kendall_tau", "best_worst_sets", "stream_deletions", "apply_last_wins",
     "update_stats", "degree_rolled", "join_asof_last_event", "join_interval", "join_skew_salted", "agg_cube", "agg_percentile_exact",
     "win_sessionize", "global_rank_distributed", "set_except_all", "sub_not_in_null", "arr_set_ops", "json_extract", "st_sliding",
-    "st_session", "st_watermark_late", "udtf_walk_expand",
+    "st_session", "st_watermark_late", "udtf_walk_expand", "st_late_side_table", "st_query_loop", "experiment_work", "experiment_scores",
+    "experiment_rbo", "eigen_summary", "page_rank_summary", "hot_set_touched_mean", "hot_set_score_change", "ring_hops_in", "ring_hops_both",
 ]
 
 
