@@ -5,7 +5,8 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -58,6 +59,17 @@ def discard(*frames: DataFrame | None) -> None:
             _delete(df.sparkSession, path)
 
 
+@contextmanager
+def cleared(spark: SparkSession) -> Iterator[list[DataFrame]]:
+    """Delete on exit what settle() writes inside, but for the frames that are put into the list it gives."""
+    before, kept = set(_written), []
+    yield kept
+    stay = before | {getattr(df, "_settled", None) for df in kept}
+    for path in [p for p in _written if p not in stay]:
+        _written.remove(path)
+        _delete(spark, path)
+
+
 def on_release(forget: Callable[[], None]) -> None:
     """Have release() call this too: for whoever keeps frames that read settled tables."""
     _on_release.append(forget)

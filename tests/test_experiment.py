@@ -139,3 +139,11 @@ def test_release_forgets_what_queries_share(spark):
     assert not os.path.exists(path) and not base._memo
     storage._written.extend(kept)
     assert QUERIES["deg_out"](spark, SF).count() == first
+
+
+def test_cleared_keeps_what_is_wanted(spark):
+    first = storage.settle(spark.range(3), "first")
+    with storage.cleared(spark) as kept:
+        gone = storage.settle(spark.range(4), "gone")
+        kept.append(storage.settle(gone, "kept"))
+    assert first.count() == 3 and kept[0].count() == 4 and not os.path.exists(gone._settled)
