@@ -5,7 +5,10 @@ The other holds one key, a run of `HEX_RUN` class marks, over the text with ever
 the mark: it finds where long hexadecimal runs are. Only at those places is an expression tried, anchored there,
 so the text is never searched by an expression. Base kinds (assign, access, hex) follow the fixed grammar below.
 The method adds kinds that carry their own check: tokens that end in a CRC-32 of their body (ghtoken, npmtoken),
-JSON web tokens whose header decodes (jwt), and PEM blocks whose DER length agrees with their body (pem).
+JSON web tokens whose header decodes (jwt), and PEM blocks whose DER length agrees with their body (pem). Of these added
+kinds, what is longer than the format's use allows is not taken for a key: a web token's header or signature of over
+4,096 characters or payload of over 65,536, a PEM body of over 65,536 (white space counted). That bounds the work at
+each hit in hostile texts; base kinds have no such limit.
 
 A null text counts as empty. Offsets are code points, end exclusive. Repeated rows give one row each. Only
 doc_id and text are read, so clashing names of other columns do no harm.

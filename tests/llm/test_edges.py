@@ -101,6 +101,22 @@ def test_simhash(spark):
     assert simhash.keep_first(docs.limit(0), simhash.near_duplicates(docs.limit(0))).count() == 0
 
 
+def test_fingerprints_by_hand():
+    """Bit by bit, from the definition: words by ASCII white space, A-Z lower-cased, strict majority of XXH64 with seed 42."""
+    import random
+
+    import xxhash
+
+    r = random.Random(2)
+    for text in [*TEXTS[:6], "ÄB c\x0bd\x1ce f g", *(" ".join(r.choices(["a", "B", "cc", "Dd", "é"], k=r.randrange(60))) for _ in range(60))]:
+        lower = "".join(c.lower() if "A" <= c <= "Z" else c for c in text or "")
+        words = [w for w in re.split("[ \t\n\x0b\x0c\r]+", lower) if w]
+        shingles = [" ".join(words[k : k + 3]) for k in range(max(1, len(words) - 2))] if words else []
+        hashes = [xxhash.xxh64(s.encode(), seed=42).intdigest() for s in shingles]
+        want = sum(1 << bit for bit in range(64) if 2 * sum(h >> bit & 1 for h in hashes) > len(hashes))
+        assert simhash.fingerprint(text, 3) == want
+
+
 @pytest.mark.parametrize("cap", [4096, 3])
 def test_simhash_cells_split(spark, cap):
     base = 0x0123456789ABCDEF
@@ -192,6 +208,15 @@ def test_urls(spark):
     assert urlfilter.judge(pages.limit(0), urlfilter.standard_rules(spark)).count() == 0
 
 
+def test_very_long_urls(spark):
+    long = "a." * 40_000 + "net"
+    urls = [f"http://{long}/" + "x/" * 100_000, "http://example.com/de/" + "y" * 500_000 + "?q", "h" * 300_000 + "://b.org/fr/z"]
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id bigint, url string")
+    got = {r.page_id: r for r in urlfilter.judge(pages, urlfilter.standard_rules(spark)).collect()}
+    assert [(got[k].rule, got[k].verdict) for k in range(3)] == [("net/", "block"), ("example.com/de/", "block"), ("org/fr/", "allow")]
+    assert got[0].host == long and got[1].path == "/de/" + "y" * 500_000
+
+
 def test_packing(spark):
     from tokenizers import Tokenizer
 

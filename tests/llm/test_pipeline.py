@@ -32,4 +32,20 @@ def test_stages_on_odd_rows(spark):
 
 
 def test_run(spark):
+    from hotgraph import storage
+
+    before = len(storage._written)
     assert corpus_pipeline.run(spark, SF).count() > 0
+    assert len(storage._written) <= before + 2  # the last stage's input and pieces
+
+
+def test_ties_and_a_table_without_lengths(spark):
+    """Of equal and near texts the smallest id stays, whatever the order of rows; columns are those of the table."""
+    words = [f"w{k}" for k in range(200)]
+    near = [" ".join(words[:k] + [f"x{k}"] + words[k + 1 :]) for k in (40, 90, 150)]
+    rows = [(9, " ".join(words)), (4, " ".join(words)), (4, " ".join(words)), *zip((7, 2, 8), near, strict=True), (3, "other words than those")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string").repartition(3)
+    near_dedup = dict(corpus_pipeline.STAGES)["SimHash near-dedup"]
+    assert sorted(r.doc_id for r in near_dedup(spark, docs, SF).collect()) == [2, 3]
+    cut = dict(corpus_pipeline.STAGES)["line dedup"](spark, docs, SF)
+    assert cut.columns == docs.columns and sorted(r.doc_id for r in cut.where("text <> ''").collect()) == [2, 3, 4, 4, 7, 8]
