@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from hotgraph.llm import decontaminate, linededup, packing, simhash, toxicity, widesimhash
 from hotgraph.llm.common import read, settle
 from hotgraph.llm.queries import tokenizer_path
+from hotgraph.storage import cleared, discard
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -21,7 +22,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without the lines that a document of smaller id holds; n_chars follows the text."""
     bitmaps = settle(linededup.keep_bitmaps(docs), "bitmaps")
-    return linededup.apply_bitmaps(docs, bitmaps).withColumn("n_chars", F.length("text").cast("bigint"))
+    cut = linededup.apply_bitmaps(docs, bitmaps)
+    return cut.withColumn("n_chars", F.length("text").cast("bigint")) if "n_chars" in docs.columns else cut
 
 
 def dedup_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -52,8 +54,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents, each written and read again."""
+    """All stages over documents, each written and read again; a stage's own tables and its input go when it is written."""
     docs = read(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = settle(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        with cleared(spark) as kept:
+            found = settle(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+            kept.append(found)
+        discard(docs)
+        docs = found
     return STAGES[-1][1](spark, docs, sf_dir)
