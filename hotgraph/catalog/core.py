@@ -192,7 +192,7 @@ def rank_beta_zero(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rank_exact(graph(spark, sf_dir, "copurchase"), beta=0.0, iterations=2, kernel="auto")
 
 
-@key("rank_tolerance")
+@key("rank_tolerance", ctes(("e", GRAPH_SQL["social_urgent"]), ("v", ends_sql("e")), *exact_sql("s", "e", "v", 150)) + " select id, round(score, 6) as score from s150")
 def rank_tolerance(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rounds until the scores move by at most 1e-9 in all."""
     return _r(rank_exact(graph(spark, sf_dir, "social_urgent"), iterations=200, tol=1e-9, kernel="auto"), "score")
@@ -351,16 +351,16 @@ def _spread_sql(first: str, step: str, least: str, again: str, hops: int) -> lis
     return [*out, ("got", f"select id, min(hop) as hop, max(b) as budget from ({union}) group by id")]
 
 
-@key("ring_influence_anchor", ctes(*SCORED, seeds_sql(0.2), *ring_sql(1), *KNOWN, *_spread_sql(f"select k.id, 0 as hop, {_budget(0.5)} as b from known k join core c on c.id = k.id where deg > 0 and s > 0 and {_budget(0.5)} >= 1", "w.b - 1", "0", "1", 6))
+@key("ring_influence_anchor", ctes(*SCORED, seeds_sql(0.2), *ring_sql(1), *KNOWN, *_spread_sql(f"select k.id, 0 as hop, {_budget(0.5)} as b from known k join core c on c.id = k.id where deg > 0 and s > 0 and {_budget(0.5)} >= 1", "w.b - 1", "0", "1", 14))
     + " select id, hop, round(budget, 6) as budget from got where id not in (select id from core)")
 def ring_influence_anchor(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _influence(spark, sf_dir, "anchor", 0.5)
 
 
-@key("ring_path_product", ctes(*SCORED, seeds_sql(0.2), *ring_sql(1), *KNOWN, *_spread_sql("select k.id, 0 as hop, s as b from known k join core c on c.id = k.id where deg > 0", "w.b / d1.n", "0.1", "0", 3))
+@key("ring_path_product", ctes(*SCORED, seeds_sql(0.2), *ring_sql(1), *KNOWN, *_spread_sql("select k.id, 0 as hop, s as b from known k join core c on c.id = k.id where deg > 0", "w.b / d1.n", "0.1", "0", 16))
     + " select id, round(budget, 6) as contribution from got where id not in (select id from core)")
 def ring_path_product(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _influence(spark, sf_dir, "path_product", 0.1, max_hops=3).select("id", F.col("budget").alias("contribution"))
+    return _influence(spark, sf_dir, "path_product", 0.1).select("id", F.col("budget").alias("contribution"))
 
 
 @key("hot_set", ctes(*HOT) + " select id, reason, hop from hot")
@@ -507,7 +507,7 @@ def page_rank_program(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _r(programs.run(programs.page_rank(), graph(spark, sf_dir, "copurchase"), 5, style="gather"), "value")
 
 
-@key("sssp_hops", ctes(("e1", GRAPH_SQL["social_urgent"]), ("one", "select min(id) as id from (" + ends_sql("e1") + ")"), *bfs_sql("far", "one", 12)) + " select id, hop from far")
+@key("sssp_hops", ctes(("e1", GRAPH_SQL["social_urgent"]), ("one", "select min(id) as id from (" + ends_sql("e1") + ")"), *bfs_sql("far", "one", 40)) + " select id, hop from far")
 def sssp_hops(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = graph(spark, sf_dir, "social_urgent")
     source = ends(e).agg(F.min("id")).first()[0]
