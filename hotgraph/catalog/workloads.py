@@ -103,7 +103,7 @@ def workload_distributed(spark: SparkSession, sf_dir: str) -> DataFrame:
 @key("workload_scaling")
 def workload_scaling(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Seconds by phase of both strategies with 2, 4 and 8 tasks at a time."""
-    return scaling(_work(spark, sf_dir, "copurchase", 2), [2, 4, 8], Params(0.05, 2, 1.0, iterations=5))
+    return scaling(_work(spark, sf_dir, "copurchase", 1), [2, 4, 8], Params(0.05, 2, 1.0, iterations=5))
 
 
 @key("experiment_report")
