@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -224,3 +225,19 @@ def test_degrees_and_schema(spark):
     for bad in ({"r": -1}, {"n": -1}, {"delta": 0}, {"beta": 2}, {"mode": "x"}):
         with pytest.raises(ValueError):
             Params(**bad)
+
+
+@pytest.mark.parametrize("block", [3, 2048])
+def test_nearest_by_any_blocks(spark, block):
+    """Blocks of any size against all pairs; null, zero and equal vectors included."""
+    from hotgraph.operators.neighbours import nearest
+
+    rng = np.random.default_rng(5)
+    vectors = {k: [float(x) for x in rng.integers(-3, 4, 4)] for k in range(40)} | {40: [0.0] * 4, 41: [1.0, 0.0, 0.0, 2.0], 42: [1.0, 0.0, 0.0, 2.0]}
+    frame = spark.createDataFrame([*vectors.items(), (43, None)], "vec_id bigint, embedding array<double>")
+    real = {k: np.array(v) / np.linalg.norm(v) for k, v in vectors.items() if any(v)}
+    want = {
+        (a, b) for a in real for b in sorted((b for b in real if b != a), key=lambda b: (-round(float(real[a] @ real[b]), 9), b))[:3]
+    }
+    assert {(r.src, r.dst) for r in nearest(frame, 3, block).collect()} == want
+    assert nearest(frame.limit(0), 3, block).count() == 0
