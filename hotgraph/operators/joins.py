@@ -5,6 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+#: Share of the left rows above which a key is salted.
+HOT_SHARE = 0.01
+
 
 def range_join(left: DataFrame, ranges: DataFrame, value: str, low: str, high: str, width: float) -> DataFrame:
     """Rows of left with the ranges low <= value < high: both sides meet by bins of `width`, then the bounds decide.
@@ -42,8 +45,16 @@ def asof_join(left: DataFrame, right: DataFrame, key: str, ts: str, strict: bool
     return both.where("_l is not null").select(key, ts, "_l.*", "_last.*")
 
 
-def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int) -> DataFrame:
-    """Inner join whose hot left keys are dealt over `salts` partitions; right is copied once for each salt."""
-    a = left.withColumn("_salt", F.pmod(F.xxhash64(*left.columns), F.lit(salts)))
-    b = right.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(salts - 1).cast("bigint"))))
-    return a.join(b, [key, "_salt"]).drop("_salt")
+def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int, share: float = HOT_SHARE) -> DataFrame:
+    """Inner join whose hot left keys are dealt over `salts` partitions; only their right rows are copied, to each salt.
+
+    Hot is a key with over `share` of the left rows, counted first, so there are fewer than 1 / share of them. Neither side
+    is broadcast: what is copied is not in the planner's sizes.
+    """
+    least = left.count() * share
+    hot = [r[0] for r in left.where(F.col(key).isNotNull()).groupBy(key).count().where(F.col("count") > least).collect()]
+    zero = F.lit(0).cast("bigint")
+    every = F.sequence(zero, F.lit(salts - 1).cast("bigint"))
+    a = left.withColumn("_salt", F.when(F.col(key).isin(hot), F.pmod(F.xxhash64(*left.columns), F.lit(salts))).otherwise(zero))
+    b = right.withColumn("_salt", F.explode(F.when(F.col(key).isin(hot), every).otherwise(F.array(zero))))
+    return a.join(b.hint("merge"), [key, "_salt"]).drop("_salt")
