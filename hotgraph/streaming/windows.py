@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hotgraph.sources.tables import scratch, utc
-from hotgraph.storage import prepare
+from hotgraph.storage import delete, prepare
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
@@ -93,6 +93,26 @@ def in_memory(stream: DataFrame, mode: str) -> DataFrame:
     return spark.table(name)
 
 
+def replaced(stream: DataFrame) -> DataFrame:
+    """The result table of a stream in complete mode, of any size: each batch writes all of it under its id, and the last
+    one is read. What it supersedes is deleted when it is written.
+    """
+    spark = stream.sparkSession
+    path = scratch(spark, "complete")
+    stood: list[int] = []
+
+    def each(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/version={batch_id}")
+        for old in [b for b in stood if b != batch_id]:
+            delete(spark, f"{path}/version={old}")
+        stood[:] = [batch_id]
+
+    stream.writeStream.outputMode("complete").foreachBatch(each).option("checkpointLocation", f"{path}-state").trigger(
+        availableNow=True
+    ).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{path}/version={stood[0]}") if stood else spark.createDataFrame([], stream.schema)
+
+
 def upserted(stream: DataFrame, keys: list[str], order: str) -> DataFrame:
     """The last row of each key of a stream in update mode: batches are written by their id and the newest wins."""
     spark = stream.sparkSession
