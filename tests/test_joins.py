@@ -1,5 +1,6 @@
-"""Joins and streams at size: what is copied, what is broadcast, what the driver holds."""
+"""Joins at size: what is copied, what is broadcast, which order counts."""
 
+from hotgraph.catalog import QUERIES
 from hotgraph.operators import joins
 
 
@@ -23,3 +24,18 @@ def _nodes(plan):
     for node in [*inner, *(below.apply(k) for k in range(below.size()))]:
         out += _nodes(node)
     return out
+
+
+def test_lateral_topk_on_shuffled_orders(spark, tmp_path):
+    """Orders in many parts and many to a customer: the dearest two, whatever way the rows come."""
+    orders = spark.range(60_000).selectExpr("id as o_orderkey", "id % 50 as o_custkey", "cast((id * 7919) % 60013 as double) as o_totalprice")
+    orders.repartition(16).write.parquet(f"{tmp_path}/orders.parquet")
+    spark.range(50).withColumnRenamed("id", "c_custkey").write.parquet(f"{tmp_path}/customer.parquet")
+    want = []
+    for c in range(50):
+        mine = sorted(((-((k * 7919) % 60013), k) for k in range(c, 60_000, 50)))
+        want += [(c, k) for _, k in mine[:2]]
+    df = QUERIES["join_lateral_topk"](spark, str(tmp_path))
+    assert sorted((r.c_custkey, r.o_orderkey) for r in df.collect()) == sorted(want)
+    window = [line for line in df._jdf.queryExecution().optimizedPlan().toString().splitlines() if "windowspecdefinition" in line]
+    assert len(window) == 1 and "o_totalprice" in window[0] and "DESC" in window[0]  # not the order in which rows happen to come
